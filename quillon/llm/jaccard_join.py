@@ -8,7 +8,9 @@ Points of random texts of one length lie close together, so that tree alone woul
 pairs of equal length. The tables are therefore first cut into shards that no link crosses:
 in one total order of all shingles, linked sets share one of their first |S| - ceil(0.8 |S|) + 1
 (the prefix rule of set similarity joins). The order puts shingles that many documents hold last,
-so that shared passages do not hold shards together. Each shard is joined through its own tree.
+so that shared passages do not hold shards together. Documents that share a prefix shingle are a
+candidate if their sizes and count vectors allow the similarity; the components of the candidates are
+the shards, and each shard is joined through its own tree.
 """
 
 from __future__ import annotations
@@ -22,18 +24,22 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import small, stored, text_slices
-from .components import components
+from .components import components, local_roots
 from .textkernel import U, mix, shingle_sets
 
 #: Shingles that a task holds before it counts the frequent ones.
 COUNT_WINDOW = 1 << 22
 #: Documents of a task that must hold a shingle, and documents in all, for it to go last in the order.
-FREQUENT_IN_TASK, FREQUENT = 8, 24
+FREQUENT_IN_TASK, FREQUENT = 3, 12
 #: Most shingles that are put last; which ones are affects speed alone.
-FREQUENT_MOST = 1 << 16
+FREQUENT_MOST = 1 << 17
 #: Shingles and documents up to which one task joins a shard.
 SHARD_SHINGLES, SHARD_DOCS = 1 << 20, 1024
 LEAF = 16
+#: Groups of the count vectors that travel with documents.
+GROUPS = 64
+#: Documents before it in order of size with which a document of one prefix shingle is paired at once.
+NEIGHBOURS = 32
 
 
 class CountVectorTree:
@@ -75,6 +81,17 @@ class CountVectorTree:
         return next(k for k, (b, _) in enumerate(self.levels) if b is boxes) - 1
 
 
+def count_vector(shingles: np.ndarray, groups: int = GROUPS) -> bytes | None:
+    """Counts by group as 16-bit numbers; None, which bounds nothing, if one does not fit."""
+    counts = np.bincount((mix(shingles) % U(groups)).astype(np.int64), minlength=groups)
+    return None if counts.max() > 0xFFFF else counts.astype(np.uint16).tobytes()
+
+
+def may_link(n: np.ndarray, m: np.ndarray, most: np.ndarray, num: int, den: int) -> np.ndarray:
+    """Whether sets of n and m members that share `most` at most can have num / den of their union in common."""
+    return (den + num) * np.minimum(most, np.minimum(n, m)) >= num * (n + m)
+
+
 def overlap(a: np.ndarray, b: np.ndarray) -> int:
     """Common members of two sorted arrays of distinct values."""
     if len(a) > len(b):
@@ -118,12 +135,12 @@ def _frequent(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 
 def _profile(width: int):
     """Set size and signature of each document, and the shingles frequent in this task."""
-    schema = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("sig", pa.binary()), ("shingle", pa.int64()), ("docs", pa.int64())])
+    schema = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("sig", pa.binary()), ("vec", pa.binary()), ("shingle", pa.int64()), ("docs", pa.int64())])
 
     def frequent(sets: list[np.ndarray]) -> pa.RecordBatch:
         values, counts = _frequent(sets)
         none = pa.nulls(len(values))
-        return pa.RecordBatch.from_arrays([none.cast(pa.int64()), none.cast(pa.int64()), none.cast(pa.binary()), pa.array(values.view(np.int64)), pa.array(counts)], schema=schema)
+        return pa.RecordBatch.from_arrays([none.cast(pa.int64()), none.cast(pa.int64()), none.cast(pa.binary()), none.cast(pa.binary()), pa.array(values.view(np.int64)), pa.array(counts)], schema=schema)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         window, held, seen = [], 0, set()
@@ -131,7 +148,7 @@ def _profile(width: int):
             sets = shingle_sets(data, at, width)
             sigs = [_signature(s) if len(s) else None for s in sets]
             none = pa.nulls(len(sets), pa.int64())
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(sigs, pa.binary()), none, none], schema=schema)
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(sigs, pa.binary()), pa.array([count_vector(x) for x in sets], pa.binary()), none, none], schema=schema)
             for s, sig in zip(sets, sigs, strict=True):
                 if sig and sig not in seen:
                     seen.add(sig)
@@ -172,6 +189,70 @@ def _prefixes(width: int, last: "object", num: int, den: int):
     return run
 
 
+def _bounded(num: int, den: int):
+    """Of pairs (a, b, n, m, va, vb) those whose sizes and count vectors allow the similarity."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in batches:
+            n, m = rows.column(2).to_numpy(), rows.column(3).to_numpy()
+            most = np.minimum(n, m)
+            known = ~(rows.column(4).is_null().to_numpy(zero_copy_only=False) | rows.column(5).is_null().to_numpy(zero_copy_only=False))
+            if known.any():
+                x, y = (np.frombuffer(b"".join(v for v, k in zip(rows.column(c).to_pylist(), known, strict=True) if k), np.uint16).reshape(-1, GROUPS) for c in (4, 5))
+                most[known] = np.minimum(x, y).sum(axis=1)
+            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1)], names=["a", "b"]).filter(pa.array(may_link(n, m, most, num, den)))
+
+    return run
+
+
+def _bound_task(num: int, den: int):
+    """Links between the documents of one task whose bounds allow the similarity; enough to join their components."""
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, n = table.column("id").to_numpy(), table.column("n").to_numpy()
+        vecs = np.stack([np.full(GROUPS, 0xFFFF, np.uint16) if v is None else np.frombuffer(v, np.uint16) for v in table.column("vec").to_pylist()]).astype(np.int64)
+        i, j = [], []
+        for k in range(1, len(ids)):
+            hit = np.flatnonzero(may_link(n[:k], n[k], np.minimum(vecs[:k], vecs[k]).sum(axis=1), num, den))
+            i.append(np.full(len(hit), k))
+            j.append(hit)
+        root = local_roots(len(ids), np.concatenate([np.zeros(0, np.int64), *i]), np.concatenate([np.zeros(0, np.int64), *j]))
+        some = np.flatnonzero(root != np.arange(len(ids)))
+        return pa.table({"a": ids[some], "b": ids[root[some]]})
+
+    return run
+
+
+def _candidates(keyed: DataFrame, classes: DataFrame, num: int, den: int) -> DataFrame:
+    """(id, cluster): documents that share prefix shingles, by component of the pairs that their bounds allow.
+
+    Within a shingle's documents, in order of size, each is paired with the NEIGHBOURS before it; linked
+    sets are near in that order unless many others lie between. Shingles where that happens are gone
+    through again by tiles of documents and their vectors, if they join more than one component.
+    """
+    by_size = Window.partitionBy("key").orderBy("n", "id").rowsBetween(-NEIGHBOURS, -1)
+    before = keyed.withColumn("before", F.collect_list(F.struct("id", "n")).over(by_size)).where(F.size("before") > 0)
+    reach = lambda p: den * p["n"] >= num * F.col("n")
+    before = before.select("key", "id", F.transform(F.filter("before", reach), lambda p: p["id"]).alias("near"), ((F.size("before") == NEIGHBOURS) & reach(F.element_at("before", 1))).alias("more"))
+    before = stored(before.where(F.size("near") > 0), "before")
+    pairs = before.select("id", "near").distinct().select(F.col("id").alias("b"), F.explode("near").alias("a")).where("a != b").distinct()
+    of = lambda k, n, v: classes.select(F.col("rep").alias(k), F.col("n").alias(n), F.col("vec").alias(v))
+    pairs = pairs.join(of("a", "n", "va"), "a").join(of("b", "m", "vb"), "b").select("a", "b", "n", "m", "va", "vb")
+    edges = stored(pairs.mapInArrow(_bounded(num, den), "a long, b long"), "pairs")
+    found = components(edges)
+    crowded = stored(before.where("more").select("key").distinct(), "crowded")
+    if crowded.isEmpty():
+        return found
+    members = keyed.join(small(crowded), "key", "left_semi").join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    split = stored(members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x != y").select("key"), "split")
+    if split.isEmpty():
+        return found
+    rest = stored(keyed.join(small(split), "key", "left_semi").select("id", F.col("key").alias("cluster"), "n"), "rest")
+    tiles = stored(_shards(rest), "bound_tiles").join(classes.select(F.col("rep").alias("id"), "n", "vec"), "id")
+    more = tiles.groupBy("cluster", "lo", "hi").applyInArrow(_bound_task(num, den), "a long, b long")
+    return components(edges.union(more))
+
+
 def _shard_task(width: int, num: int, den: int):
     def run(table: pa.Table) -> pa.Table:
         ids, tile = table.column("id").to_numpy(), table.column("tile").to_numpy()
@@ -224,18 +305,16 @@ def jaccard_components(docs: DataFrame, num: int = 80, den: int = 100, width: in
         raise ValueError("the size bands need a similarity of 0.8 or more")
     docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     spark = docs.sparkSession
-    profile = stored(docs.mapInArrow(_profile(width), "id long, n long, sig binary, shingle long, docs long"), "profile")
-    each = profile.where("shingle is null").select("id", "n", "sig")
+    profile = stored(docs.mapInArrow(_profile(width), "id long, n long, sig binary, vec binary, shingle long, docs long"), "profile")
+    each = profile.where("shingle is null").select("id", "n", "sig", "vec")
     often = profile.where("shingle is not null").groupBy("shingle").agg(F.sum("docs").alias("docs")).where(F.col("docs") >= FREQUENT)
     often = often.orderBy(F.desc("docs"), "shingle").limit(FREQUENT_MOST).select("shingle").toPandas()["shingle"].to_numpy(np.int64)
     last = spark.sparkContext.broadcast(np.sort(often.view(U)))
-    classes = stored(each.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.max("n").alias("n")), "classes")
+    classes = stored(each.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.max("n").alias("n"), F.max("vec").alias("vec")), "classes")
     keys = stored(docs.mapInArrow(_prefixes(width, last, num, den), "id long, keys array<long>"), "keys")
-    keyed = keys.join(classes.select(F.col("rep").alias("id")), "id", "left_semi").select("id", F.explode("keys").alias("key"))
-    one_key = Window.partitionBy("key").orderBy("id")
-    chained = keyed.withColumn("before", F.lag("id").over(one_key)).where("before < id").select(F.col("before").alias("a"), F.col("id").alias("b"))
-    clusters = components(chained).withColumnRenamed("component", "cluster")
-    clusters = stored(clusters.join(classes.select(F.col("rep").alias("id"), "n"), "id"), "clusters")
+    keyed = keys.join(classes.select(F.col("rep").alias("id"), "n").distinct(), "id").select("id", "n", F.explode("keys").alias("key"))
+    clusters = _candidates(keyed, classes, num, den).withColumnRenamed("component", "cluster")
+    clusters = stored(clusters.join(classes.select(F.col("rep").alias("id"), "n").groupBy("id").agg(F.max("n").alias("n")), "id"), "clusters")
     shards = stored(_shards(clusters), "shards")
     texts = docs.join(small(shards), "id")
     links = texts.groupBy("cluster", "lo", "hi").applyInArrow(_shard_task(width, num, den), "a long, b long")
