@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .common import small, stored
 
 #: Words of a block, slots of an output shard, rows that a window over documents orders, about.
-BLOCK_WORDS, SHARD_SLOTS, CHUNK_ROWS = 64, 4096, 8192
+BLOCK_WORDS, SHARD_SLOTS, CHUNK_ROWS = 64, 4096, 1024
 #: Cells into which the draw's unit interval is cut to find a slot's source by an equi-join.
 CELLS = 4096
 #: A prime over any number of blocks.
