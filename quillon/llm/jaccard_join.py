@@ -36,8 +36,8 @@ FREQUENT_MOST = 1 << 17
 #: Shingles and documents up to which one task joins a shard.
 SHARD_SHINGLES, SHARD_DOCS = 1 << 20, 1024
 LEAF = 16
-#: Groups of the count vectors that travel with documents.
-GROUPS = 64
+#: Groups of the coarse count vectors. Sets of FINE or more also have a fine one, of some 8 to a group.
+GROUPS, FINE = 64, 512
 #: Documents before it in order of size with which a document of one prefix shingle is paired at once.
 NEIGHBOURS = 32
 
@@ -87,6 +87,19 @@ def count_vector(shingles: np.ndarray, groups: int = GROUPS) -> bytes | None:
     return None if counts.max() > 0xFFFF else counts.astype(np.uint16).tobytes()
 
 
+def fine_vector(shingles: np.ndarray) -> bytes | None:
+    """Count vector with a number of groups, a power of 2, that follows the set's size; None for small sets."""
+    return count_vector(shingles, 1 << (len(shingles) // 8 - 1).bit_length()) if len(shingles) >= FINE else None
+
+
+def shared_at_most(a: bytes, b: bytes) -> int:
+    """Summed minima of two count vectors; the one with more groups is folded to the other's."""
+    x, y = np.frombuffer(a, np.uint16), np.frombuffer(b, np.uint16)
+    if len(x) > len(y):
+        x, y = y, x
+    return int(np.minimum(x, y.reshape(-1, len(x)).sum(axis=0)).sum())
+
+
 def may_link(n: np.ndarray, m: np.ndarray, most: np.ndarray, num: int, den: int) -> np.ndarray:
     """Whether sets of n and m members that share `most` at most can have num / den of their union in common."""
     return (den + num) * np.minimum(most, np.minimum(n, m)) >= num * (n + m)
@@ -135,12 +148,12 @@ def _frequent(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 
 def _profile(width: int):
     """Set size and signature of each document, and the shingles frequent in this task."""
-    schema = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("sig", pa.binary()), ("vec", pa.binary()), ("shingle", pa.int64()), ("docs", pa.int64())])
+    schema = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("sig", pa.binary()), ("vec", pa.binary()), ("fine", pa.binary()), ("shingle", pa.int64()), ("docs", pa.int64())])
 
     def frequent(sets: list[np.ndarray]) -> pa.RecordBatch:
         values, counts = _frequent(sets)
         none = pa.nulls(len(values))
-        return pa.RecordBatch.from_arrays([none.cast(pa.int64()), none.cast(pa.int64()), none.cast(pa.binary()), none.cast(pa.binary()), pa.array(values.view(np.int64)), pa.array(counts)], schema=schema)
+        return pa.RecordBatch.from_arrays([none.cast(pa.int64()), none.cast(pa.int64()), *[none.cast(pa.binary())] * 3, pa.array(values.view(np.int64)), pa.array(counts)], schema=schema)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         window, held, seen = [], 0, set()
@@ -148,7 +161,7 @@ def _profile(width: int):
             sets = shingle_sets(data, at, width)
             sigs = [_signature(s) if len(s) else None for s in sets]
             none = pa.nulls(len(sets), pa.int64())
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(sigs, pa.binary()), pa.array([count_vector(x) for x in sets], pa.binary()), none, none], schema=schema)
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(sigs, pa.binary()), pa.array([count_vector(x) for x in sets], pa.binary()), pa.array([fine_vector(x) for x in sets], pa.binary()), none, none], schema=schema)
             for s, sig in zip(sets, sigs, strict=True):
                 if sig and sig not in seen:
                     seen.add(sig)
@@ -196,11 +209,10 @@ def _bounded(num: int, den: int):
         for rows in batches:
             n, m = rows.column(2).to_numpy(), rows.column(3).to_numpy()
             most = np.minimum(n, m)
-            known = ~(rows.column(4).is_null().to_numpy(zero_copy_only=False) | rows.column(5).is_null().to_numpy(zero_copy_only=False))
-            if known.any():
-                x, y = (np.frombuffer(b"".join(v for v, k in zip(rows.column(c).to_pylist(), known, strict=True) if k), np.uint16).reshape(-1, GROUPS) for c in (4, 5))
-                most[known] = np.minimum(x, y).sum(axis=1)
-            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1)], names=["a", "b"]).filter(pa.array(may_link(n, m, most, num, den)))
+            for k, (a, b) in enumerate(zip(rows.column(4).to_pylist(), rows.column(5).to_pylist(), strict=True)):
+                if a is not None and b is not None:
+                    most[k] = shared_at_most(a, b)
+            yield pa.RecordBatch.from_arrays(rows.columns[:4], names=["a", "b", "n", "m"]).filter(pa.array(may_link(n, m, most, num, den)))
 
     return run
 
@@ -231,14 +243,20 @@ def _candidates(keyed: DataFrame, classes: DataFrame, num: int, den: int) -> Dat
     through again by tiles of documents and their vectors, if they join more than one component.
     """
     by_size = Window.partitionBy("key").orderBy("n", "id").rowsBetween(-NEIGHBOURS, -1)
-    before = keyed.withColumn("before", F.collect_list(F.struct("id", "n")).over(by_size)).where(F.size("before") > 0)
+    before = keyed.withColumn("before", F.collect_list(F.struct("id", "n", "pos")).over(by_size)).where(F.size("before") > 0)
     reach = lambda p: den * p["n"] >= num * F.col("n")
-    before = before.select("key", "id", F.transform(F.filter("before", reach), lambda p: p["id"]).alias("near"), ((F.size("before") == NEIGHBOURS) & reach(F.element_at("before", 1))).alias("more"))
-    before = stored(before.where(F.size("near") > 0), "before")
+    # if this is the first common shingle, what stands before it in either set is not shared
+    first = lambda p: (den + num) * F.least(p["n"] - p["pos"], F.col("n") - F.col("pos")) >= num * (p["n"] + F.col("n"))
+    before = before.select("key", "id", F.transform(F.filter("before", lambda p: reach(p) & first(p)), lambda p: p["id"]).alias("near"), ((F.size("before") == NEIGHBOURS) & reach(F.element_at("before", 1))).alias("more"))
+    before = stored(before.where((F.size("near") > 0) | F.col("more")), "before")
     pairs = before.select("id", "near").distinct().select(F.col("id").alias("b"), F.explode("near").alias("a")).where("a != b").distinct()
-    of = lambda k, n, v: classes.select(F.col("rep").alias(k), F.col("n").alias(n), F.col("vec").alias(v))
-    pairs = pairs.join(of("a", "n", "va"), "a").join(of("b", "m", "vb"), "b").select("a", "b", "n", "m", "va", "vb")
-    edges = stored(pairs.mapInArrow(_bounded(num, den), "a long, b long"), "pairs")
+    of = lambda k, n, vec, v: classes.select(F.col("rep").alias(k), F.col("n").alias(n), F.col(vec).alias(v))
+    kept = "a long, b long, n long, m long"
+    pairs = pairs.join(of("a", "n", "vec", "va"), "a").join(of("b", "m", "vec", "vb"), "b").select("a", "b", "n", "m", "va", "vb")
+    pairs = stored(pairs.mapInArrow(_bounded(num, den), kept), "pairs")
+    large = pairs.where((F.col("n") >= FINE) & (F.col("m") >= FINE))
+    large = large.join(of("a", "n", "fine", "va"), ["a", "n"]).join(of("b", "m", "fine", "vb"), ["b", "m"]).select("a", "b", "n", "m", "va", "vb").mapInArrow(_bounded(num, den), kept)
+    edges = stored(pairs.where((F.col("n") < FINE) | (F.col("m") < FINE)).union(large).select("a", "b"), "edges")
     found = components(edges)
     crowded = stored(before.where("more").select("key").distinct(), "crowded")
     if crowded.isEmpty():
@@ -305,14 +323,14 @@ def jaccard_components(docs: DataFrame, num: int = 80, den: int = 100, width: in
         raise ValueError("the size bands need a similarity of 0.8 or more")
     docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     spark = docs.sparkSession
-    profile = stored(docs.mapInArrow(_profile(width), "id long, n long, sig binary, vec binary, shingle long, docs long"), "profile")
-    each = profile.where("shingle is null").select("id", "n", "sig", "vec")
+    profile = stored(docs.mapInArrow(_profile(width), "id long, n long, sig binary, vec binary, fine binary, shingle long, docs long"), "profile")
+    each = profile.where("shingle is null").select("id", "n", "sig", "vec", "fine")
     often = profile.where("shingle is not null").groupBy("shingle").agg(F.sum("docs").alias("docs")).where(F.col("docs") >= FREQUENT)
     often = often.orderBy(F.desc("docs"), "shingle").limit(FREQUENT_MOST).select("shingle").toPandas()["shingle"].to_numpy(np.int64)
     last = spark.sparkContext.broadcast(np.sort(often.view(U)))
-    classes = stored(each.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.max("n").alias("n"), F.max("vec").alias("vec")), "classes")
+    classes = stored(each.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.max("n").alias("n"), F.max("vec").alias("vec"), F.max("fine").alias("fine")), "classes")
     keys = stored(docs.mapInArrow(_prefixes(width, last, num, den), "id long, keys array<long>"), "keys")
-    keyed = keys.join(classes.select(F.col("rep").alias("id"), "n").distinct(), "id").select("id", "n", F.explode("keys").alias("key"))
+    keyed = keys.join(classes.select(F.col("rep").alias("id"), "n").distinct(), "id").select("id", "n", F.posexplode("keys").alias("pos", "key"))
     clusters = _candidates(keyed, classes, num, den).withColumnRenamed("component", "cluster")
     clusters = stored(clusters.join(classes.select(F.col("rep").alias("id"), "n").groupBy("id").agg(F.max("n").alias("n")), "id"), "clusters")
     shards = stored(_shards(clusters), "shards")
