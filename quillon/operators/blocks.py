@@ -99,13 +99,13 @@ def groups(members: list[int]) -> list[list[int]]:
     return sorted(ks for _, ks in parts)
 
 
-def admissible(members: list[int], new: int, cap: int) -> bool:
-    """Whether `new` and all parts that it touches have `cap` items together at most."""
-    total = new
+def admissible(members: list[int], new: int, cap: int, most_members: int = 60) -> bool:
+    """Whether `new` and all parts that it touches have `cap` items and fewer than `most_members` members together at most."""
+    total, count = new, 0
     for part in groups(members):
         items = 0
         for k in part:
             items |= members[k]
         if items & new:
-            total |= items
-    return total.bit_count() <= cap
+            total, count = total | items, count + len(part)
+    return total.bit_count() <= cap and count < most_members

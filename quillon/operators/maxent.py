@@ -9,21 +9,53 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from .blocks import Mass, closed_blocks, groups, independent_mass, quick_sizes, signature
+from .blocks import Mass, closed_blocks, groups, independent_mass, quick_sizes
 from .sizes import size_distribution
 
 
+class _Plan:
+    """Blocks of a collection as arrays, with the subtractions that make their masses exact; see blocks.quick_sizes."""
+
+    def __init__(self, members: list[int]):
+        unions = np.zeros(1, np.int64)
+        for x in members:
+            unions = np.unique(np.concatenate((unions, unions | x)))
+        sets = np.array(members, np.int64)
+        powers = 1 << np.arange(len(members), dtype=np.int64)
+        sign = lambda u: ((u[:, None] & sets) == sets) @ powers
+        self.blocks, first = np.unique(sign(unions), return_index=True)
+        self.unions = unions[first]
+        self.inside = (self.blocks[:, None] & powers) != 0
+        self.steps = []
+        for k, x in enumerate(members):
+            rest = np.flatnonzero(~self.inside[:, k])
+            to = sign(self.unions[rest] | x)
+            ok = (to ^ self.blocks[rest]) & (powers[k] - 1) == 0
+            self.steps.append((rest[ok], np.searchsorted(self.blocks, to[ok])))
+
+    def exact(self, cumulative: np.ndarray) -> np.ndarray:
+        sizes = cumulative.copy()
+        for rest, to in self.steps:
+            sizes[rest] -= sizes[to]
+        return sizes
+
+
 @dataclass
 class _Part:
-    """One item-disjoint part of the collection."""
+    """One item-disjoint part of the collection, with the plans of the collection and of its queries."""
 
     which: list[int]
     members: list[int]
     items: int
-    blocks: dict[int, int] = field(default_factory=dict)
+    plans: dict[int, _Plan] = field(default_factory=dict)
 
-    def __post_init__(self) -> None:
-        self.blocks = closed_blocks(self.members)
+    def plan(self, query: int) -> _Plan:
+        query = 0 if query in self.members else query
+        if query not in self.plans:
+            if len(self.plans) > 4096:
+                self.plans.clear()
+            self.plans[query] = _Plan([*self.members, query] if query else self.members)
+        return self.plans[query]
 
 
 class MaxEntModel:
@@ -52,9 +84,7 @@ class MaxEntModel:
     # masses: arrays over the number of items if row sizes are known, else of length 1
 
     def _mass(self, items: int) -> Mass:
-        """Of the items of one part: mass of its rows that contain given ones."""
-        if self.row_sizes is None:
-            return independent_mass(self.probability)
+        """Of the items of one part: mass by number of items of its rows that contain given ones."""
         own = _bits(items)
 
         def mass(inside: int) -> np.ndarray:
@@ -68,18 +98,21 @@ class MaxEntModel:
 
     def _part_mass(self, part: _Part, query: int = 0) -> np.ndarray:
         """Weighted mass of the part's rows that contain `query` (items of the part)."""
-        members, blocks = part.members, part.blocks
-        if query and query not in members:
-            members = [*members, query]
-            blocks = closed_blocks(members)
-        need = 1 << members.index(query) if query else 0
-        mass = self._mass(part.items)
-        sizes, _ = quick_sizes(members, blocks, {b: mass(u) for b, u in blocks.items()})
-        total = 0.0
-        for b, size in sizes.items():
-            if b & need == need:
-                total = total + size * np.prod([self.mult[k] for j, k in enumerate(part.which) if b >> j & 1])
-        return np.atleast_1d(total)
+        plan = part.plan(query)
+        if self.row_sizes is None:
+            own = _bits(part.items)
+            has = (plan.unions[:, None] >> np.array(own)) & 1 == 1
+            cumulative = np.where(has, np.array([self.probability[i] for i in own]), 1.0).prod(axis=1)[:, None]
+        else:
+            mass = self._mass(part.items)
+            cumulative = np.stack([mass(int(u)) for u in plan.unions])
+        sizes = plan.exact(cumulative)
+        k = len(part.members)
+        weight = np.where(plan.inside[:, :k], np.array([self.mult[j] for j in part.which]), 1.0).prod(axis=1)
+        if query:
+            at = part.members.index(query) if query in part.members else k
+            weight = weight * plan.inside[:, at]
+        return (weight[:, None] * sizes).sum(axis=0)
 
     def _free_mass(self, query: int) -> np.ndarray:
         free = [i for i in range(self.m) if not self.touched >> i & 1]
@@ -188,8 +221,8 @@ class MaxEntModel:
         """(part, block over the part's members, probability) of all blocks of each part, without row sizes."""
         out = []
         for g, part in enumerate(self.parts):
-            mass = self._mass(part.items)
-            sizes, _ = quick_sizes(part.members, part.blocks, {b: mass(u) for b, u in part.blocks.items()})
+            found, mass = closed_blocks(part.members), independent_mass(self.probability)
+            sizes, _ = quick_sizes(part.members, found, {b: mass(u) for b, u in found.items()})
             total = self._part_mass(part)[0]
             out += [(g, b, float(s[0] * np.prod([self.mult[k] for j, k in enumerate(part.which) if b >> j & 1]) / total)) for b, s in sorted(sizes.items())]
         return out
@@ -218,6 +251,3 @@ def _bits(x: int) -> list[int]:
 def shift(frequency: float, size: int, eps: float) -> float:
     """The frequency mixed with that of rows drawn evenly, which keeps it off 0 and 1."""
     return (1 - eps) * frequency + eps * 2.0**-size
-
-
-__all__ = ["MaxEntModel", "shift", "signature"]

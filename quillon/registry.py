@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .workloads import ranking
+from .workloads import modelling, ranking
 
-MODULES = (ranking,)
+MODULES = (ranking, modelling)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -67,7 +67,7 @@ def masks(view: str, m: int) -> str:
     """CTEs of a view over its m most frequent items: items(item, id, supp), bag(mask, cnt), nn."""
     return (
         f"{cells(view)}, items AS (SELECT item, supp, row_number() OVER (ORDER BY supp DESC, item) - 1 AS id FROM margin QUALIFY id < {m}), "
-        "bag AS MATERIALIZED (SELECT mask, count(*)::DOUBLE AS cnt FROM (SELECT rws.tid, coalesce(sum(1 << id), 0)::BIGINT AS mask FROM rws LEFT JOIN (cells JOIN items USING (item)) c ON rws.tid = c.tid GROUP BY rws.tid, CASE WHEN false THEN 1 END) GROUP BY mask)"
+        "bag AS MATERIALIZED (SELECT mask, count(*)::DOUBLE AS cnt FROM (SELECT rws.tid, coalesce(sum(1 << id), 0)::BIGINT AS mask FROM rws LEFT JOIN (cells JOIN items USING (item)) c ON rws.tid = c.tid GROUP BY rws.tid) GROUP BY mask)"
     )
 
 
