@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .workloads import modelling, ranking
+from .workloads import modelling, ranking, relational
 
-MODULES = (ranking, modelling)
+MODULES = (ranking, modelling, relational)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -95,16 +95,16 @@ def rank_pool_triples(spark, sf_dir):
 
 
 _MEASURES = {
-    "kl": ("kl", F.col("kl")),
-    "lift": ("fr / est", F.col("fr") / F.col("est")),
-    "leverage": ("fr - est", F.col("fr") - F.col("est")),
-    "chi2": ("n * (fr - est) * (fr - est) / (est * (1 - fa) * (1 - fb))", F.col("n") * (F.col("fr") - F.col("est")) * (F.col("fr") - F.col("est")) / (F.col("est") * (1 - F.col("fa")) * (1 - F.col("fb")))),
+    "kl": ("kl", lambda: F.col("kl")),
+    "lift": ("fr / est", lambda: F.col("fr") / F.col("est")),
+    "leverage": ("fr - est", lambda: F.col("fr") - F.col("est")),
+    "chi2": ("n * (fr - est) * (fr - est) / (est * (1 - fa) * (1 - fb))", lambda: F.col("n") * (F.col("fr") - F.col("est")) * (F.col("fr") - F.col("est")) / (F.col("est") * (1 - F.col("fa")) * (1 - F.col("fb")))),
 }
 
 
 def static_rank(spark: SparkSession, sf_dir: str, measure: str, view: str = "order_word", k: int = 10) -> DataFrame:
     """The static top k of a measure of deviation from independence: redundancy among them is not looked at."""
-    r = ranked_pairs(transactions(spark, sf_dir, view)).withColumn("value", F.round(_MEASURES[measure][1], 9))
+    r = ranked_pairs(transactions(spark, sf_dir, view)).withColumn("value", F.round(_MEASURES[measure][1](), 9))
     return r.orderBy(F.desc("value"), "a", "b").limit(k).select("a", "b", "value")
 
 
