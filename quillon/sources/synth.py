@@ -24,11 +24,11 @@ def independent(spark: SparkSession, rows: int, items: int = 50, seed: str = "in
 
 def chain(spark: SparkSession, rows: int, items: int = 50, seed: str = "chain") -> DataFrame:
     """Each item is a copy of the one before it with probability 0.5 to 0.8, else a fair coin."""
-    out = spark.range(rows).withColumn("bits", F.array(unit(seed, F.col("id"), F.lit("c0")) < 0.5))
-    for k in range(1, items):
-        copy = unit(seed, F.col("id"), F.lit(f"k{k}")) < 0.5 + 0.3 * k / max(items - 1, 1)
-        out = out.withColumn("bits", F.concat("bits", F.array(F.when(copy, F.element_at("bits", -1)).otherwise(unit(seed, F.col("id"), F.lit(f"c{k}")) < 0.5))))
-    return _kept(out, [F.element_at("bits", k + 1) for k in range(items)])
+    coin = lambda k: unit(seed, F.col("id"), F.lit("c"), k) < 0.5
+    copied = lambda k: unit(seed, F.col("id"), F.lit("k"), k) < 0.5 + 0.3 * k / max(items - 1, 1)
+    grow = lambda bits, k: F.concat(bits, F.array(F.when(copied(k), F.element_at(bits, -1)).otherwise(coin(k))))
+    bits = F.aggregate(F.sequence(F.lit(1), F.lit(items - 1)), F.array(coin(F.lit(0))), grow)
+    return _kept(spark.range(rows).withColumn("bits", bits), [F.element_at("bits", k + 1) for k in range(items)])
 
 
 def mosaic(spark: SparkSession, rows: int, items: int = 50, seed: str = "mosaic") -> DataFrame:
