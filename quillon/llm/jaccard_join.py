@@ -30,7 +30,7 @@ from .textkernel import U, mix, shingle_sets
 #: Shingles that a task holds before it counts the frequent ones.
 COUNT_WINDOW = 1 << 21
 #: Documents of a task that must hold a shingle, and documents in all, for it to go last in the order.
-FREQUENT_IN_TASK, FREQUENT = 3, 12
+FREQUENT_IN_TASK, FREQUENT = 2, 12
 #: Most shingles that are put last; which ones are affects speed alone.
 FREQUENT_MOST = 1 << 17
 #: Shingles and documents up to which one task joins a shard.
