@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .workloads import modelling, ranking, relational
+from .workloads import baselines, modelling, ranking, relational
 
-MODULES = (ranking, modelling, relational)
+MODULES = (ranking, modelling, relational, baselines)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
