@@ -20,12 +20,11 @@ OWN = ("__lang_pred", "__lang_score", "__lang_ok")
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the documents whose language is told; without a letter, or with a tie of languages, they go.
-
-    The margin here is 0: a clean document is kept even if it is short and its languages are close.
+    """Keeps the documents whose language is told by the operator's own margin; without a letter, with a tie
+    of languages or a margin below it, they go.
     """
     model = learn_dictionaries(docs.where(~crc_held_out()))
-    return identify(docs, model, margin=0.0, names=OWN).where(OWN[2]).drop(*OWN)
+    return identify(docs, model, names=OWN).where(OWN[2]).drop(*OWN)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

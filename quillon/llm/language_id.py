@@ -94,14 +94,15 @@ def identify(docs: DataFrame, model: Model, text: str = "text", margin: float =
 
     A column of `docs` that has one of these names is left out.
     Texts are compressed whole, in windows whose sizes are summed. Null texts and texts without a letter get
-    `und`, score 0, and are not accepted; so do all if there is no model. Acceptance also needs `margin`.
+    `und`, score 0, and are not accepted; so do all if there is no model. Acceptance also needs `margin`; a tie
+    is never accepted.
     """
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         compressors = Compressors(model)
         for rows in row_slices(batches, text):
             found = [compressors.judge(t) for t in rows.column(rows.schema.get_field_index(text)).to_pylist()]
-            new = [pa.array([k for k, _ in found], pa.string()), pa.array([s for _, s in found], pa.float64()), pa.array([k != UNDETERMINED and s >= margin for k, s in found], pa.bool_())]
+            new = [pa.array([k for k, _ in found], pa.string()), pa.array([s for _, s in found], pa.float64()), pa.array([k != UNDETERMINED and s > 0 and s >= margin for k, s in found], pa.bool_())]
             yield pa.RecordBatch.from_arrays([*rows.columns, *new], names=[*rows.schema.names, *names])
 
     docs = docs.drop(*names)

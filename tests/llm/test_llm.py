@@ -133,6 +133,24 @@ def test_language_id(spark):
     assert {r.lang_pred for r in language_id.language_predictions(edge(spark)).where("doc_id < 4").collect()} == {"und"}
 
 
+def test_language_stage_rejects_ties_and_narrow_margins(spark):
+    import corpus_pipeline
+
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    model = language_id.learn_dictionaries(docs.where(~language_id.crc_held_out()))
+    judge = language_id.Compressors(model).judge
+    part = {k: next(r.text for r in docs.where(f"lang = '{k}' and n_chars > 9000").orderBy("doc_id").collect()) for k in ("en", "de")}
+    both = lambda n: part["en"][:6000] + " " + part["de"][:n]
+    flip = next(n for n in range(0, 9000, 100) if judge(both(n))[0] == "de")
+    mixed = next(both(n) for n in range(flip - 200, flip + 100) if 0 < judge(both(n))[1] < language_id.MARGIN)
+    tie = next(r.text for r in docs.orderBy("n_chars").collect() if judge(r.text) == (model[0][0], 0.0))
+    ids = [r.id for r in spark.range(1 << 40, (1 << 40) + 60).where(language_id.crc_held_out("id")).collect()[:3]]  # not learnt from
+    more = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in zip(ids, (mixed, tie, part["en"]), strict=True)], docs.schema)
+    kept = {r.doc_id for r in corpus_pipeline.language_stage(spark, docs.unionByName(more), "").where(f"doc_id >= {1 << 40}").collect()}
+    assert kept == {ids[2]}
+    assert not any(r.lang_ok for r in language_id.identify(more.where(f"doc_id = {ids[1]}"), model, margin=0.0).collect())
+
+
 def test_html(spark):
     page = '<html><head><title>T</title></head><body><nav><ul><li><a href="/a">Home</a></li></ul></nav><div class="cookie-notice"><p>We use cookies.</p></div><article><h1>A &amp; B</h1><p>First\n one is a long enough sentence, here.<br>More<p>Second one is also a sentence.</article><div class="comments"><h3>Comments</h3><p>I do not agree at all.</p></div><script>var x="</p>";</script><footer>&copy; x</footer></body></html>'
     field = html_extract.trained_field()
