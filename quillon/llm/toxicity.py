@@ -16,8 +16,11 @@ from .textkernel import NOT_TERM, U, word_hashes
 BUCKETS = 1 << 20
 #: Labelled documents that the model is fitted on, about.
 SAMPLE_ROWS = 8192
-#: A term must be in so many of them, and its share among toxic and other documents differ by so many standard errors.
+#: A term must be in so many of them, and its share among toxic and other documents differ by so many standard errors;
 LEAST_DOCS, LEAST_Z, MOST_TERMS = 5, 6.0, 4096
+#: or it is in a pair whose toxic share differs so clearly (root of twice the log-likelihood ratio) from what its two
+#: terms let expect. Terms whose pairs are counted against each other at a time.
+LEAST_PAIR_G, PAIR_TILE = 6.0, 512
 RANK, ROUNDS, RATE, DECAY = 8, 300, 0.05, 1e-3
 
 
@@ -47,10 +50,71 @@ def terms_of(data: np.ndarray, at: np.ndarray, buckets: int = BUCKETS) -> tuple[
     return np.repeat(np.arange(len(at) - 1), np.diff(bounds)), (words & U(buckets - 1)).astype(np.int64)
 
 
+def pair_terms(rows: np.ndarray, columns: np.ndarray, labels: np.ndarray, m: int) -> np.ndarray:
+    """The columns of all pairs of terms that tell the labels together beyond what each tells alone.
+
+    (rows, columns) are the distinct terms of the documents. A pair's toxic share is held against the sum of
+    its terms' effects where the other is missing; this expectation, uncertain at its ends, is widened to half
+    the base rates, and the rarest of the three groups limits the evidence. All pairs are looked at, except
+    those of a term too rare for any label to reach the bound. Repeated documents count once.
+    """
+    order = np.lexsort((columns, rows))
+    rows, columns = rows[order], columns[order]
+    cuts = np.searchsorted(rows, np.arange(len(labels) + 1))
+    first = list({columns[a:b].tobytes(): k for k, (a, b) in enumerate(zip(cuts, cuts[1:]))}.values())
+    again = np.full(len(labels), -1)
+    again[first] = np.arange(len(first))
+    keep = again[rows] >= 0
+    rows, columns, labels = again[rows[keep]], columns[keep], labels[first].astype(np.float32)
+    n, toxic = len(labels), float(labels.sum())
+    share = toxic / n
+    if not 0 < share < 1:
+        return np.zeros(0, np.int64)
+    among, with_ = np.bincount(columns, labels[rows], minlength=m), np.bincount(columns, minlength=m).astype(float)
+    may = np.flatnonzero(2 * np.maximum(among * np.log(1 / share), (with_ - among) * np.log(1 / (1 - share))) >= LEAST_PAIR_G**2)
+    place = np.full(m, -1)
+    place[may] = np.arange(len(may))
+    order = np.argsort(place[columns], kind="stable")
+    rows, columns = rows[order], place[columns][order]
+    among, with_ = among[may], with_[may]
+
+    def tile(lo: int) -> np.ndarray:
+        a, b = np.searchsorted(columns, (lo, lo + PAIR_TILE))
+        out = np.zeros((n, min(PAIR_TILE, len(may) - lo)), np.float32)
+        out[rows[a:b], columns[a:b] - lo] = 1
+        return out
+
+    smooth = lambda t, k: (t + share) / (k + 1)
+    found = np.zeros(len(may), bool)
+    for lo in range(0, len(may), PAIR_TILE):
+        left = tile(lo)
+        left_toxic = left[labels > 0]
+        a = slice(lo, lo + left.shape[1])
+        for other in range(lo, len(may), PAIR_TILE):
+            right = tile(other)
+            b = slice(other, other + right.shape[1])
+            both, both_toxic = (left.T @ right).astype(float), (left_toxic.T @ right[labels > 0]).astype(float)
+            one, one_toxic = with_[a, None] - both, among[a, None] - both_toxic
+            two, two_toxic = with_[None, b] - both, among[None, b] - both_toxic
+            neither = smooth(toxic - one_toxic - two_toxic - both_toxic, n - one - two - both)
+            expected = smooth(one_toxic, one) + smooth(two_toxic, two) - neither
+            wide = np.clip(expected, share / 2, (1 + share) / 2)
+            p = both_toxic / np.maximum(both, 1)
+            q = np.clip(np.clip(p, np.minimum(expected, wide), np.maximum(expected, wide)), 1e-9, 1 - 1e-9)
+            apart = p * np.log(np.maximum(p, 1e-12) / q) + (1 - p) * np.log(np.maximum(1 - p, 1e-12) / (1 - q))
+            evidence = 1 / (1 / np.maximum(both, 1e-9) + 1 / np.maximum(one, 1e-9) + 1 / np.maximum(two, 1e-9))
+            hit = (2 * evidence * apart >= LEAST_PAIR_G**2) & (both >= LEAST_DOCS)
+            if other == lo:
+                np.fill_diagonal(hit, False)
+            found[a] |= hit.any(axis=1)
+            found[b] |= hit.any(axis=0)
+    return may[found]
+
+
 def fit(documents: list[np.ndarray], labels: np.ndarray, rank: int = RANK, rounds: int = ROUNDS) -> Machine:
     """A machine from documents (arrays of distinct buckets) and 0/1 labels, by Adam on the whole sample.
 
-    Keeps the terms whose share differs most clearly between the labels. Without documents, or of one
+    Keeps the terms whose share differs most clearly between the labels, and those of `pair_terms`. Without documents, or of one
     label only, the score is that label's smoothed share everywhere.
     """
     n, toxic = len(labels), int(labels.sum())
@@ -67,7 +131,7 @@ def fit(documents: list[np.ndarray], labels: np.ndarray, rank: int = RANK, round
     z = np.abs(among / toxic - (with_ - among) / (n - toxic)) / np.sqrt(np.maximum(p * (1 - p), 1e-12) * (1 / toxic + 1 / (n - toxic)))
     z[with_ < LEAST_DOCS] = 0
     chosen = np.sort(np.lexsort((terms, -z))[:MOST_TERMS])
-    chosen = chosen[z[chosen] >= LEAST_Z]
+    chosen = np.union1d(chosen[z[chosen] >= LEAST_Z], pair_terms(rows, columns, labels, len(terms)))
     if not len(chosen):
         return empty
     place = np.full(len(terms), -1)

@@ -177,6 +177,23 @@ def test_factorisation_learns_pairs():
     assert one(1, 2) > 0 > max(one(1), one(2))
 
 
+def test_factorisation_learns_pairs_of_neutral_terms():
+    rng = np.random.default_rng(5)
+    docs, y = [], []
+    for k in range(2000):  # 5 % toxic; term 1 is an insult, 2 neutral alone, 3 tells by itself
+        toxic = k % 20 == 0
+        own = [[1, 2], [3]][k // 20 % 2] if toxic else [[2], [1], [2], []][k % 4]
+        docs.append(np.unique(np.append(rng.integers(10, 60, 5), own).astype(np.int64)))
+        y.append(int(toxic))
+    y = np.array(y)
+    shares = [np.mean([2 in d for d, t in zip(docs, y, strict=True) if t == k]) for k in (0, 1)]
+    assert abs(shares[0] - shares[1]) < 0.05
+    m = toxicity.fit(docs, y)
+    assert {1, 2, 3} <= set(m.terms.tolist()) and len(m.terms) < 10  # none of the noise
+    one = lambda *t: m.raw(np.zeros(len(t), int), np.searchsorted(m.terms, t), 1)[0]
+    assert one(1, 2) > 0 > max(one(1), one(2))
+
+
 def test_url_filter(spark):
     urls = ["http://A.Org/x", "http://a.org", "https://m.example.org/en/12?q", "https://example.org/es/1", "https://notexample.org/es/1", "http://x.com/de/", "http://x.com.evil.net/fr/", None, "no scheme", "http://cheap-pills.net/x#a", "http://evil.net/foo.org/x", "http://org/"]
     df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
