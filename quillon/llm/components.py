@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import discard, stored
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -18,25 +18,30 @@ def components(edges: DataFrame) -> DataFrame:
     self-links are left out; an empty input gives an empty result.
     """
     links = edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct()
-    links, labels = stored(links, "links"), None
+    links, labels, spark = stored(links, "links"), None, edges.sparkSession
     while not links.isEmpty():
         both = links.union(links.select("b", "a"))
-        parent = stored(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("id"), F.least("a", "m").alias("parent")), "parent")
+        parent = held = stored(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("id"), F.least("a", "m").alias("parent")), "parent")
         while True:
             up = parent.select(F.col("id").alias("parent"), F.col("parent").alias("above"))
             jumped = parent.join(up, "parent", "left").select("id", F.coalesce("above", "parent").alias("parent"), (F.col("above") != F.col("parent")).alias("moved"))
             jumped = stored(jumped, "jump")
-            parent = jumped.select("id", "parent")
+            discard(spark, held)
+            parent, held = jumped.select("id", "parent"), jumped
             if jumped.where("moved").isEmpty():
                 break
         of = lambda k: parent.select(F.col("id").alias(k), F.col("parent").alias(f"p{k}"))  # noqa: E731,B023
         rest = links.join(of("a"), "a").join(of("b"), "b").where("pa != pb")
-        links = stored(rest.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).distinct(), "links")
+        done, links = links, stored(rest.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).distinct(), "links")
+        discard(spark, done)
         if labels is None:
-            labels = parent.withColumnRenamed("parent", "component")
+            labels, kept = parent.withColumnRenamed("parent", "component"), held
         else:
             up = parent.select(F.col("id").alias("component"), F.col("parent").alias("above"))
             labels = stored(labels.join(up, "component", "left").select("id", F.coalesce("above", "component").alias("component")), "labels")
+            discard(spark, kept, held)
+            kept = labels
+    discard(spark, links)
     return edges.select(F.col("a").alias("id"), F.col("b").alias("component")).where("false") if labels is None else labels
 
 

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small, stored
+from .common import bounded_batches, discard, small, stored
 from .components import components, local_roots
 
 #: Covers the rounding of the bounds themselves in double precision.
@@ -109,6 +109,8 @@ def embedding_links(rows: DataFrame, threshold: float = 0.93, tile_rows: int = 4
     Repeated rows count as vectors of their own. Other columns are ignored. An empty table gives an
     empty result.
     """
+    spark = rows.sparkSession
+    bounded_batches(spark)
     rows = rows.select(F.col(key).alias("id"), F.col(vector).alias("embedding"), F.col(group).alias("label"))
     finite = F.forall("embedding", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf")))
     usable = F.coalesce(F.col("label").isNotNull() & finite & F.exists("embedding", lambda v: v != 0), F.lit(False))
@@ -119,11 +121,14 @@ def embedding_links(rows: DataFrame, threshold: float = 0.93, tile_rows: int = 4
     dealt = dealt.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
     dealt = dealt.select("label", "dim", F.least("tile", "with").alias("lo"), F.greatest("tile", "with").alias("hi"), "tile", "rep", "copies", "embedding")
     found = stored(dealt.groupBy("label", "dim", "lo", "hi").applyInArrow(_tile_task(threshold), "id long, links long, other long"), "tiles")
+    discard(spark, sizes)
     comps = components(found.select(F.col("id").alias("a"), F.col("other").alias("b")))
     counts = found.groupBy("id").agg(F.sum("links").alias("links"))
     known = counts.join(comps, "id", "left").select(F.col("id").alias("rep"), "links", "component")
     classes = reps.join(known, "rep", "left").select("label", "embedding", "copies", "rep", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "rep").alias("component"))
-    linked = valid.join(stored(classes, "classes"), ["label", "embedding"]).select("id", (F.col("links") + F.col("copies") - 1).alias("n_links"), F.col("component").alias("component_id"))
+    classes = stored(classes, "classes")
+    discard(spark, found, reps)
+    linked = valid.join(classes, ["label", "embedding"]).select("id", (F.col("links") + F.col("copies") - 1).alias("n_links"), F.col("component").alias("component_id"))
     alone = rows.where(~usable).select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
     return linked.union(alone).select(F.col("id").alias(key), "n_links", "component_id", (F.col("id") == F.col("component_id")).alias("kept"))
 

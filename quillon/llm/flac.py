@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, utf8
+from .common import map_batches, slices, utf8
 
 BLOCK = 576
 RATE = 8000
@@ -518,7 +518,7 @@ def media_digests(docs: DataFrame, key: str = "doc_id", text: str = "text", orde
 
     source = docs.select(F.col(key).alias("id"), F.col(text).alias("text"))
     schema = f"id {source.schema['id'].dataType.simpleString()}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", media binary" * with_media
-    return source.mapInArrow(run, schema).withColumnRenamed("id", key)
+    return map_batches(source, run, schema).withColumnRenamed("id", key)
 
 
 def pcm_blocks(media: DataFrame, key: str = "doc_id", column: str = "media", block_samples: int = BLOCK * 64) -> DataFrame:
@@ -540,4 +540,4 @@ def pcm_blocks(media: DataFrame, key: str = "doc_id", column: str = "media", blo
                 yield pa.RecordBatch.from_arrays([ids, pa.array(range(len(cuts)), pa.int64()), pa.array(cuts, pa.int64()), pa.array([len(p) // 2 for p in pcm], pa.int64()), pa.array(pcm, pa.binary())], names=["id", "block", "sample_offset", "n_samples", "pcm"])
 
     source = media.select(F.col(key).alias("id"), F.col(column).alias("media"))
-    return source.mapInArrow(run, f"id {source.schema['id'].dataType.simpleString()}, block long, sample_offset long, n_samples long, pcm binary").withColumnRenamed("id", key)
+    return map_batches(source, run, f"id {source.schema['id'].dataType.simpleString()}, block long, sample_offset long, n_samples long, pcm binary").withColumnRenamed("id", key)

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_held_out, text_slices
+from .common import crc_held_out, map_batches, text_slices
 from .textkernel import NOT_TERM, U, word_hashes
 
 BUCKETS = 1 << 20
@@ -179,7 +179,7 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) ->
             yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(2), values], names=["id", "toxic", "terms"])
 
     texts = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").alias("id"), "text")
-    sample = texts.join(F.broadcast(some), "id").select("id", "text", "toxic").mapInArrow(terms, f"id {texts.schema['id'].dataType.simpleString()}, toxic int, terms array<int>")
+    sample = map_batches(texts.join(F.broadcast(some), "id").select("id", "text", "toxic"), terms, f"id {texts.schema['id'].dataType.simpleString()}, toxic int, terms array<int>")
     got = sample.toPandas().sort_values("id", kind="stable")
     got = got.assign(size=got["terms"].map(len)).sort_values(["id", "toxic", "size"], kind="stable")
     return fit([np.asarray(t, np.int64) for t in got["terms"]], got["toxic"].to_numpy(np.int64))
@@ -203,7 +203,7 @@ def score(docs: DataFrame, machine: Machine, key: str = "doc_id", text: str = "t
             yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(value), pa.array((value >= 0.5).astype(np.int32))], names=["id", "score", "predicted"])
 
     source = docs.select(F.col(key).alias("id"), F.col(text).alias("text"))
-    return source.mapInArrow(run, f"id {source.schema['id'].dataType.simpleString()}, score double, predicted int").withColumnRenamed("id", key)
+    return map_batches(source, run, f"id {source.schema['id'].dataType.simpleString()}, score double, predicted int").withColumnRenamed("id", key)
 
 
 def toxicity_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import utf8
+from .common import map_batches, utf8
 
 # The rules (host, path) and their verdicts.
 RULES = (("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block"))
@@ -115,4 +115,4 @@ def url_verdicts(pages: DataFrame, rules: Iterable[tuple[str, str, str]] = RULES
     source = pages.select(F.col(key).alias("id"), host.alias("host"), path.alias("path"))
     source = source.withColumn("canonical", F.concat(F.lit(START.decode()), "host", "path"))
     schema = f"id {source.schema['id'].dataType.simpleString()}, host string, path string, rule string, verdict string"
-    return source.mapInArrow(run, schema).withColumnRenamed("id", key)
+    return map_batches(source, run, schema).withColumnRenamed("id", key)
