@@ -22,13 +22,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import small, stored, text_slices
+from .common import bounded_batches, discard, map_batches, small, stored, text_slices
 from .components import components, local_roots
 from .textkernel import U, mix, shingle_sets
 
 #: Shingles that a task holds before it counts the frequent ones.
-COUNT_WINDOW = 1 << 21
+COUNT_WINDOW = 1 << 20
 #: Documents of a task that must hold a shingle, and documents in all, for it to go last in the order.
 FREQUENT_IN_TASK, FREQUENT = 2, 12
 #: Most shingles that are put last; which ones are affects speed alone.
@@ -187,13 +188,12 @@ def prefix_length(n: int, num: int, den: int) -> int:
 
 
 def _prefixes(width: int, last: "object", num: int, den: int):
-    schema = pa.schema([("id", pa.int64()), ("keys", pa.list_(pa.int64()))])
-
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         late = last.value
         for rows, data, at in text_slices(batches):
-            keys = []
+            keys, sigs = [], []
             for s in shingle_sets(data, at, width):
+                sigs.append(_signature(s) if len(s) else None)
                 n = prefix_length(len(s), num, den) if len(s) else 0
                 if len(late) and n:
                     spot = np.searchsorted(late, s)
@@ -203,7 +203,7 @@ def _prefixes(width: int, last: "object", num: int, den: int):
                 keys.append(s[:n].view(np.int64))
             lengths = np.cumsum([0, *map(len, keys)])
             values = np.concatenate(keys) if keys else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(values))], schema=schema)
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(sigs, pa.binary()), pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(values))], names=["id", "sig", "keys"])
 
     return run
 
@@ -256,12 +256,12 @@ def _candidates(keyed: DataFrame, classes: DataFrame, num: int, den: int) -> Dat
     before = before.select("key", "id", F.transform(F.filter("before", lambda p: reach(p) & first(p)), lambda p: p["id"]).alias("near"), ((F.size("before") == NEIGHBOURS) & reach(F.element_at("before", 1))).alias("more"))
     before = stored(before.where((F.size("near") > 0) | F.col("more")), "before")
     pairs = before.select("id", "near").distinct().select(F.col("id").alias("b"), F.explode("near").alias("a")).where("a != b").distinct()
-    of = lambda k, n, vec, v: classes.select(F.col("rep").alias(k), F.col("n").alias(n), F.col(vec).alias(v))
+    of = lambda k, n, vec, v: classes.select(F.col("vertex").alias(k), F.col("n").alias(n), F.col(vec).alias(v))
     kept = "a long, b long, n long, m long"
     pairs = pairs.join(of("a", "n", "vec", "va"), "a").join(of("b", "m", "vec", "vb"), "b").select("a", "b", "n", "m", "va", "vb")
-    pairs = stored(pairs.mapInArrow(_bounded(num, den), kept), "pairs")
+    pairs = stored(map_batches(pairs, _bounded(num, den), kept), "pairs")
     large = pairs.where((F.col("n") >= FINE) & (F.col("m") >= FINE))
-    large = large.join(of("a", "n", "fine", "va"), ["a", "n"]).join(of("b", "m", "fine", "vb"), ["b", "m"]).select("a", "b", "n", "m", "va", "vb").mapInArrow(_bounded(num, den), kept)
+    large = map_batches(large.join(of("a", "n", "fine", "va"), ["a", "n"]).join(of("b", "m", "fine", "vb"), ["b", "m"]).select("a", "b", "n", "m", "va", "vb"), _bounded(num, den), kept)
     edges = stored(pairs.where((F.col("n") < FINE) | (F.col("m") < FINE)).union(large).select("a", "b"), "edges")
     found = components(edges)
     crowded = stored(before.where("more").select("key").distinct(), "crowded")
@@ -272,20 +272,22 @@ def _candidates(keyed: DataFrame, classes: DataFrame, num: int, den: int) -> Dat
     if split.isEmpty():
         return found
     rest = stored(keyed.join(small(split), "key", "left_semi").select("id", F.col("key").alias("cluster"), "n"), "rest")
-    tiles = stored(_shards(rest), "bound_tiles").join(classes.select(F.col("rep").alias("id"), "n", "vec"), "id")
+    tiles = stored(_shards(rest), "bound_tiles").join(classes.select(F.col("vertex").alias("id"), "n", "vec"), "id")
     more = tiles.groupBy("cluster", "lo", "hi").applyInArrow(_bound_task(num, den), "a long, b long")
     return components(edges.union(more))
 
 
 def _shard_task(width: int, num: int, den: int):
     def run(table: pa.Table) -> pa.Table:
-        ids, tile = table.column("id").to_numpy(), table.column("tile").to_numpy()
         sets: list[np.ndarray] = []
         for batch in table.select(["text"]).to_batches():
             for _, data, at in text_slices([batch]):
                 sets += shingle_sets(data, at, width)
+        # rows with one id may have different texts; those that are not the class's own go
+        own = [k for k, (s, sig) in enumerate(zip(sets, table.column("sig").to_pylist(), strict=True)) if _signature(s) == sig]
+        sets, ids, tile = [sets[k] for k in own], table.column("vertex").to_numpy()[own], table.column("tile").to_numpy()[own]
         side = None if table.column("lo")[0].as_py() == table.column("hi")[0].as_py() else tile
-        links = list(tree_links(sets, num, den, side))
+        links = list(tree_links(sets, num, den, side)) if sets else []
         return pa.table({"a": pa.array([ids[i] for i, _ in links], pa.int64()), "b": pa.array([ids[j] for _, j in links], pa.int64())})
 
     return run
@@ -317,31 +319,121 @@ def _shards(clusters: DataFrame) -> DataFrame:
     return whole.union(dealt.select("id", "cluster", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), "tile"))
 
 
-def jaccard_components(docs: DataFrame, num: int = 80, den: int = 100, width: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row per document: key, n_shingles, component_id.
+def _classes(each: DataFrame) -> DataFrame:
+    """(sig, rep, n, vec, fine, vertex): one row for each distinct set, with its smallest id.
 
-    Documents link if den * intersection >= num * union of their shingle sets (num / den >= 0.8 with
-    the bands used). Null, empty and wordless texts have the empty set and link with nothing; texts of
-    fewer than `width` words are one shingle. Repeated rows give repeated rows; rows with one key are one
-    vertex. Documents with equal sets are joined as one. Other columns are ignored.
+    The vertex is that id; where several sets have it, as ids repeat, or there is none, it is a negative number
+    that the set gives.
+    """
+    spark = each.sparkSession
+    sets = stored(each.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.max("n").alias("n"), F.max("vec").alias("vec"), F.max("fine").alias("fine")), "sets")
+    shared = stored(sets.where("rep is not null").groupBy("rep").agg(F.count("*").alias("sets")).where("sets > 1").select("rep", F.lit(True).alias("shared")), "shared")
+    own = -F.pmod(F.xxhash64("sig"), F.lit(1 << 62)) - 1
+    named = sets.join(small(shared), "rep", "left") if not shared.isEmpty() else sets.withColumn("shared", F.lit(None).cast("boolean"))
+    out = stored(named.withColumn("vertex", F.when(F.col("rep").isNull() | F.coalesce("shared", F.lit(False)), own).otherwise(F.col("rep"))).drop("shared"), "classes")
+    discard(spark, sets, shared)
+    return out
+
+
+def _without_repeats(docs: DataFrame, each: DataFrame) -> DataFrame:
+    """`docs` (id, text) with one row of those that repeat both."""
+    repeated = stored(each.where("n > 0").groupBy("id", "sig").count().where("count > 1").select(F.col("id").alias("again")).distinct(), "repeated")
+    if repeated.isEmpty():
+        return docs
+    same, few = docs["id"].eqNullSafe(repeated["again"]), small(repeated)
+    return docs.join(few, same, "left_anti").union(docs.join(few, same, "left_semi").dropDuplicates(["id", "text"]))
+
+
+def jaccard_groups(docs: DataFrame, num: int = 80, den: int = 100, width: int = 5, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(id, n, sig) of each row, and (sig, rep, n, group, low) of each distinct set.
+
+    `rep` is the smallest id of a set, `group` tells the linked sets (null: linked with none), `low` is the
+    smallest id of the group, or of the set without one. See `jaccard_components` for what links and for odd rows.
     """
     if num * 5 < den * 4:
         raise ValueError("the size bands need a similarity of 0.8 or more")
     docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     spark = docs.sparkSession
-    profile = stored(docs.mapInArrow(_profile(width), "id long, n long, sig binary, vec binary, fine binary, shingle long, docs long"), "profile")
+    bounded_batches(spark)
+    profile = stored(map_batches(docs, _profile(width), "id long, n long, sig binary, vec binary, fine binary, shingle long, docs long"), "profile")
     each = profile.where("shingle is null").select("id", "n", "sig", "vec", "fine")
     often = profile.where("shingle is not null").groupBy("shingle").agg(F.sum("docs").alias("docs")).where(F.col("docs") >= FREQUENT)
     often = often.orderBy(F.desc("docs"), "shingle").limit(FREQUENT_MOST).select("shingle").toPandas()["shingle"].to_numpy(np.int64)
     last = spark.sparkContext.broadcast(np.sort(often.view(U)))
-    classes = stored(each.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.max("n").alias("n"), F.max("vec").alias("vec"), F.max("fine").alias("fine")), "classes")
-    keys = stored(docs.mapInArrow(_prefixes(width, last, num, den), "id long, keys array<long>"), "keys")
-    keyed = keys.join(classes.select(F.col("rep").alias("id"), "n").distinct(), "id").select("id", "n", F.posexplode("keys").alias("pos", "key"))
+    classes = _classes(each)
+    docs = _without_repeats(docs, each)
+    keys = stored(map_batches(docs, _prefixes(width, last, num, den), "id long, sig binary, keys array<long>"), "keys")
+    last.unpersist()
+    keyed = keys.join(classes.select(F.col("rep").alias("id"), "sig", "n", "vertex").where("id is not null"), ["id", "sig"])
+    nameless = classes.where("rep is null")
+    if not nameless.isEmpty():  # sets of rows without an id: any one of them stands for the set
+        some = keys.where("id is null").groupBy("sig").agg(F.any_value("keys").alias("keys"))
+        keyed = keyed.select("vertex", "n", "keys").union(some.join(nameless, "sig").select("vertex", "n", "keys"))
+    keyed = keyed.select(F.col("vertex").alias("id"), "n", F.posexplode("keys").alias("pos", "key"))
     clusters = _candidates(keyed, classes, num, den).withColumnRenamed("component", "cluster")
-    clusters = stored(clusters.join(classes.select(F.col("rep").alias("id"), "n").groupBy("id").agg(F.max("n").alias("n")), "id"), "clusters")
-    shards = stored(_shards(clusters), "shards")
-    texts = docs.join(small(shards), "id")
+    clusters = stored(clusters.join(classes.select(F.col("vertex").alias("id"), "n"), "id"), "clusters")
+    shards = stored(_shards(clusters).join(classes.select(F.col("vertex").alias("id"), "rep", "sig"), "id").withColumnRenamed("id", "vertex"), "shards")
+    discard(spark, keys, clusters)
+    texts = docs.join(small(shards), docs["id"].eqNullSafe(shards["rep"])).drop("id", "rep")
     links = texts.groupBy("cluster", "lo", "hi").applyInArrow(_shard_task(width, num, den), "a long, b long")
     comps = components(links)
-    named = stored(classes.join(comps.select(F.col("id").alias("rep"), "component"), "rep", "left").select("sig", F.coalesce("component", "rep").alias("component")), "named")
-    return each.join(named, "sig", "left").select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"))
+    discard(spark, shards)
+    members = stored(classes.join(comps.select(F.col("id").alias("vertex"), F.col("component").alias("group")), "vertex", "left").select("sig", "rep", "n", "group"), "members")
+    discard(spark, classes)
+    low = members.where("group is not null").groupBy("group").agg(F.min("rep").alias("lowest"))
+    named = members.join(low, "group", "left").select("sig", "rep", "n", "group", F.coalesce("lowest", "rep").alias("low"))
+    return each.select("id", "n", "sig"), stored(named, "groups")
+
+
+def jaccard_components(docs: DataFrame, num: int = 80, den: int = 100, width: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """One row per document: key, n_shingles, component_id.
+
+    Documents link if den * intersection >= num * union of their shingle sets (num / den >= 0.8 with
+    the bands used). Null, empty and wordless texts have the empty set and link with nothing; texts of
+    fewer than `width` words are one shingle. Repeated rows give repeated rows; rows with one id and different
+    texts are documents of their own. A null id is never a component's smallest one, unless all are null.
+    Documents with equal sets are joined as one. An empty table gives an empty result; other columns, whatever
+    their names, are ignored.
+    """
+    each, sets = jaccard_groups(docs, num, den, width, key, text)
+    low = sets.select("sig", "low")
+    return each.join(low, "sig", "left").select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.coalesce("low", "id").alias("component_id"))
+
+
+def _with_set(docs: DataFrame, width: int, text: str, names: tuple[str, str]) -> DataFrame:
+    """All columns, with the size and the signature of each row's set."""
+    schema = T.StructType([*docs.schema.fields, T.StructField(names[0], T.LongType()), T.StructField(names[1], T.BinaryType())])
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows, data, at in text_slices(batches, text):
+            sets = shingle_sets(data, at, width)
+            new = [pa.array([len(s) for s in sets], pa.int64()), pa.array([_signature(s) if len(s) else None for s in sets], pa.binary())]
+            yield pa.RecordBatch.from_arrays([*rows.columns, *new], names=[*rows.schema.names, *names])
+
+    return map_batches(docs, run, schema)
+
+
+def one_of_each_group(docs: DataFrame, num: int = 80, den: int = 100, width: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of `docs` without near copies: of each group of linked texts one row, that with the smallest id.
+
+    Rows without words link with nothing and all stay. Rows with one id are held apart by their sets, so
+    different texts under one id both stay; of rows with equal sets one stays. Null ids come after all others. Columns
+    come back as they were, whatever their names, but for two that hold a set meanwhile (`__n`, `__sig`).
+    """
+    each, sets = jaccard_groups(docs, num, den, width, key, text)
+    spark = docs.sparkSession
+    alone = F.coalesce(F.col("group"), F.xxhash64("sig"))
+    first = sets.groupBy(F.col("group").isNull().alias("single"), alone.alias("of"), F.when(F.col("group").isNull(), F.col("sig")).alias("own"))
+    first = first.agg(F.min(F.struct(F.col("rep").isNull(), "rep", "sig")).alias("f"))
+    kept = stored(first.select(F.col("f.rep").alias("kept"), F.col("f.sig").alias("kept_sig")), "kept")
+    counts = each.groupBy("id").agg(F.count("*").alias("rows"))
+    unclear = stored(counts.where("rows > 1 or id is null").select(F.col("id").alias("unclear")), "unclear")
+    ids = stored(kept.select(F.col("kept").alias("stays")).union(each.where("n = 0").select("id")).where("stays is not null").join(unclear, F.col("stays") == F.col("unclear"), "left_anti").distinct(), "stays")
+    out = docs.join(small(ids), docs[key].cast("long") == ids["stays"], "left_semi")
+    if unclear.isEmpty():
+        return out
+    rows = _with_set(docs.join(small(unclear), docs[key].cast("long").eqNullSafe(unclear["unclear"]), "left_semi"), width, text, ("__n", "__sig"))
+    rows = stored(rows, "unclear_rows")
+    named = rows.where("`__n` > 0")
+    named = named.join(small(kept), named[key].cast("long").eqNullSafe(kept["kept"]) & (named["__sig"] == kept["kept_sig"]), "left_semi").dropDuplicates([key, "__sig"])
+    return out.unionByName(rows.where("`__n` = 0").union(named).drop("__n", "__sig"))
