@@ -6,12 +6,13 @@ import hashlib
 import re
 from collections import Counter
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass, field
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import row_slices
+from .common import map_batches, row_slices
 
 # The base patterns, and the lengths from which a match counts.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -36,16 +37,25 @@ STAND_IN = re.compile(r"(?i)(?:change_?me|your[-_ ].*|example.*|placeholder|reda
 STEMS = ("pass", "pwd", "secret", "token", "key", "credential", "bearer", "authorization", "connection")
 LEAST_SCORE, LEAST_LITERAL = 5, 6
 
-LINE = re.compile(r"[^\n]*(?:[=:@]|--|</)[^\n]*")
+#: One token at a place; quoted strings are read apart. What may start far from where it fails cannot start
+#: again within what it failed on, so that reading a text takes time in proportion to its length.
 LEX = re.compile(
-    r"""(?P<string>"(?:[^"\\]|\\.)*"|'(?:[^'\\]|\\.)*'|`[^`]*`)"""
-    r"|(?P<xml><(?P<tag>[A-Za-z_][\w.-]*)>(?P<body>[^<>]*)</(?P=tag)>)"
-    r"|(?P<flag>--?(?P<option>[A-Za-z][\w-]*)[ =](?P<argument>[^\s\"']+))"
-    r"|(?P<url>[a-z][a-z0-9+.-]*://[^\s/:@]+:(?P<login>[^\s/@]+)@)"
-    r"|(?P<name>[A-Za-z_$][\w$]*(?:[.-][\w$]+)*)|(?P<op>:=|=>|->|==|!=|<=|>=|[=:+,;(){}\[\]])|(?P<number>\d[\w.]*)|(?P<other>\S)",
+    r"(?P<xml><(?P<tag>[A-Za-z_][\w.-]*+)>(?P<body>[^<>]*+)</(?P=tag)>)"
+    r"|(?P<flag>(?<![\w-])--?(?P<option>[A-Za-z][\w-]*+)[ =](?P<argument>[^\s\"']++))"
+    r"|(?P<url>(?<![A-Za-z0-9+.-])[a-z][a-z0-9+.-]*+://[^\s/:@]++:(?P<login>[^\s/@]++)@)"
+    r"|(?P<name>[A-Za-z_$][\w$]*+(?:[.-][\w$]++)*+)|(?P<op>:=|=>|->|==|!=|<=|>=|[=:+,;(){}\[\]])|(?P<number>\d[\w.]*+)|(?P<other>\S)",
     re.ASCII,
 )
-BARE = re.compile(r"[^\s\"'`,;(){}\[\]<>]+")
+SPACE, LINE_SPACE = re.compile(r"\s*+"), re.compile(r"[^\S\n]*+")
+#: Quoted strings by what opens them: within a line, or over lines for three quotes and back quotes.
+STRINGS = {
+    '"""': re.compile(r'"""((?:[^"\\]|\\.|"(?!""))*+)"""', re.S), "'''": re.compile(r"'''((?:[^'\\]|\\.|'(?!''))*+)'''", re.S),
+    '"': re.compile(r'"((?:[^"\\\n]|\\.)*+)"'), "'": re.compile(r"'((?:[^'\\\n]|\\.)*+)'"), "`": re.compile(r"`([^`]*+)`"),
+}
+BARE = re.compile(r"[^\s\"'`,;(){}\[\]<>]++")
+ASSIGNS, TAKES_OVER = frozenset(("=", ":=", "=>", ":", "->")), frozenset(("=", ":=", "=>", "->", "(", "["))
+#: Characters of a joined literal that its look is judged by; its spans are whole.
+LOOK_CHARS = 512
 PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|\d+")
 
 
@@ -68,73 +78,134 @@ def name_score(name: str) -> int:
     return best - 3 * bool(HARMLESS & set(parts[-1:])) if best else 0
 
 
-def literal_score(value: str) -> int:
-    """How much a literal looks like a secret: length, kinds of characters, variety; 0 if it stands in for one."""
-    if len(value) < LEAST_LITERAL or STAND_IN.match(value) or any(c.isspace() for c in value):
+def literal_score(value: str, strong: bool = False) -> int:
+    """How much a literal looks like a secret: length, kinds of characters, variety; 0 if it stands in for one.
+
+    Of literals with white space only those of three words or more count, and only under a `strong` name.
+    """
+    if len(value) < LEAST_LITERAL or STAND_IN.match(value):
         return 0
+    words = len(value.split())
+    if words > 1 or value != value.strip():
+        return int(strong and words >= 3 and value[-1] not in ".:?!…")
     kinds = sum(any(f(c) for c in value) for f in (str.islower, str.isupper, str.isdigit, lambda c: not c.isalnum()))
     varied = len(set(value)) >= 5
     return 1 + (kinds >= 2) + (len(value) >= 12 and varied) if varied or kinds > 1 else 1
 
 
-Pieces = list[tuple[int, int]]
-
-
-def pairs(text: str) -> Iterator[tuple[str, str, Pieces]]:
-    """Name-literal pairs of source and configuration syntax: (target, value, spans of its literals).
+@dataclass
+class Literal:
+    """A literal: how it begins, the spans it has itself, and the literals it takes over by name."""
+
+    look: str
+    spans: list[tuple[int, int]] = field(default_factory=list)
+    parts: list["Literal"] = field(default_factory=list)
+
+
+class _Reader:
+    """Reads one text from left to right; holds one token at a time."""
+
+    def __init__(self, text: str):
+        self.text, self.dead, self.run_end, self.run_after = text, {}, -1, None
+
+    def string(self, at: int) -> re.Match | None:
+        """The quoted string that starts at `at`. After one without an end, no other within it has one."""
+        for opener in (self.text[at] * 3, self.text[at]):
+            if opener in STRINGS and self.text.startswith(opener, at) and at >= self.dead.get(opener, 0):
+                if m := STRINGS[opener].match(self.text, at):
+                    return m
+                end = self.text.find("\n", at) if len(opener) == 1 and opener != "`" else -1
+                self.dead[opener] = len(self.text) if end < 0 else end
+        return None
+
+    def token(self, at: int) -> tuple[str, re.Match] | None:
+        """Kind and match of the token at or after `at`."""
+        at = SPACE.match(self.text, at).end()
+        if at >= len(self.text):
+            return None
+        if self.text[at] in "\"'`" and (m := self.string(at)):
+            return "string", m
+        m = LEX.match(self.text, at)
+        return m.lastgroup, m
+
+    def op(self, at: int) -> tuple[str, int]:
+        """The operator at or after `at`, within the line, and where it ends."""
+        m = LEX.match(self.text, LINE_SPACE.match(self.text, at).end())
+        return (m[0], m.end()) if m and m["op"] else ("", at)
+
+    def bare(self, at: int) -> tuple[int, str]:
+        """End of the unquoted run at `at`, and the operator after it; found once for each run."""
+        if at >= self.run_end:
+            m = BARE.match(self.text, at)
+            self.run_end = m.end() if m else at
+            self.run_after = self.op(self.run_end)[0]
+        return self.run_end, self.run_after
+
+    def value(self, at: int, known: dict[str, Literal]) -> tuple[Literal | None, int]:
+        """The literal at or after `at`, and where reading goes on."""
+        out, first = Literal(""), True
+        while True:
+            start = SPACE.match(self.text, at).end()
+            if start >= len(self.text):
+                break
+            same_line = LINE_SPACE.match(self.text, at).end() == start
+            got = self.token(start)
+            kind, m = got
+            if kind == "string":
+                out.spans.append(m.span(1))
+                out.look = (out.look + m[1][:LOOK_CHARS])[:LOOK_CHARS]
+                at = m.end()
+            elif kind == "name" and m[0] in known and same_line and (not first or self.bare(start)[0] == m.end()):
+                out.parts.append(known[m[0]])
+                out.look = (out.look + known[m[0]].look)[:LOOK_CHARS]
+                at = m.end()
+            elif first and same_line and (end := self.bare(start))[0] > start:
+                if end[1] in TAKES_OVER:
+                    return None, start  # a type, another target or a call
+                return Literal(self.text[start : min(end[0], start + LOOK_CHARS)], [(start, end[0])]), end[0]
+            else:
+                return (None, at) if first else (out, at)
+            first = False
+            op, after = self.op(at)
+            if op == "+":
+                at = after
+            else:
+                spot = LINE_SPACE.match(self.text, at).end()
+                if self.text[spot : spot + 1] not in ("'", '"') or not self.string(spot):
+                    break
+        return (out if out.spans or out.parts else None), at
+
+
+def pairs(text: str) -> Iterator[tuple[str, Literal]]:
+    """Name-literal pairs of source and configuration syntax, in the order of the text.
 
     Reads assignments (= := => : ->), keyword and dictionary entries, elements, options and logins in
-    URLs; joins literals that + puts together; replaces a name on the right by the literal that the
-    same text gave it before.
+    URLs; joins literals that + puts together or that stand side by side; takes for a name on the right the
+    literal that the same text gave it before. A quoted literal, or an element's body, may stand on later
+    lines than its name; an unquoted one stands on the name's own line. Takes time and memory in proportion
+    to the text.
     """
-    known: dict[str, tuple[str, Pieces]] = {}
-    for line in LINE.finditer(text):
-        base, tokens = line.start(), list(LEX.finditer(line[0]))
-        k = 0
-        while k < len(tokens):
-            t = tokens[k]
-            kind = t.lastgroup
-            if t["xml"]:
-                yield t["tag"], t["body"], [(base + t.start("body"), base + t.end("body"))]
-            elif t["flag"]:
-                yield t["option"], t["argument"], [(base + t.start("argument"), base + t.end("argument"))]
-            elif t["url"]:
-                yield "password", t["login"], [(base + t.start("login"), base + t.end("login"))]
-            elif kind in ("name", "string") and k + 2 < len(tokens) and tokens[k + 1][0] in ("=", ":=", "=>", ":", "->"):
-                target = t[0] if kind == "name" else t[0][1:-1]
-                value, where, k = _value(line[0], base, tokens, k + 2, known)
-                if where:
-                    known[target] = (value, where)
-                    yield target, value, where
-                continue
-            k += 1
-
-
-def _value(line: str, base: int, tokens: list[re.Match], k: int, known: dict[str, tuple[str, Pieces]]) -> tuple[str, Pieces, int]:
-    """The literal that starts at token k, its spans, and the token after it."""
-    value, where, first = "", [], k
-    while k < len(tokens):
-        t = tokens[k]
-        if t["string"]:
-            value += t[0][1:-1]
-            where.append((base + t.start() + 1, base + t.end() - 1))
-        elif t["name"] and t[0] in known:
-            value += known[t[0]][0]
-            where += known[t[0]][1]
-        elif k == first and (m := BARE.match(line, t.start())):
-            while k < len(tokens) and tokens[k].start() < m.end():
-                k += 1
-            if k < len(tokens) and tokens[k][0] in ("=", ":=", "=>", "->") or k < len(tokens) and tokens[k][0] in "([":
-                return "", [], first  # a type, another target or a call
-            return m[0], [(base + m.start(), base + m.end())], k
-        else:
-            return "", [], max(k, first)
-        k += 1
-        if k + 1 < len(tokens) and (tokens[k][0] == "+" or tokens[k]["string"]):
-            k += tokens[k][0] == "+"
-            continue
-        break
-    return value, where, k
+    known: dict[str, Literal] = {}
+    read, at = _Reader(text), 0
+    while got := read.token(at):
+        kind, t = got
+        at = t.end()
+        if kind in ("name", "string"):
+            op, after = read.op(at)
+            if op in ASSIGNS:
+                target = t[0] if kind == "name" else t[1]
+                value, at = read.value(after, known)
+                if not value and op == ":" and read.run_end > at and read.run_after == "=":  # the run is the name's type
+                    value, at = read.value(read.op(read.run_end)[1], known)
+                if value:
+                    known[target] = value
+                    yield target, value
+        elif kind == "xml":
+            yield t["tag"], Literal(t["body"][:LOOK_CHARS], [t.span("body")])
+        elif kind == "flag":
+            yield t["option"], Literal(t["argument"][:LOOK_CHARS], [t.span("argument")])
+        elif kind == "url":
+            yield "password", Literal(t["login"][:LOOK_CHARS], [t.span("login")])
 
 
 def lexed_spans(text: str) -> list[Span]:
@@ -142,11 +213,19 @@ def lexed_spans(text: str) -> list[Span]:
     low = text.lower()
     if not any(stem in low for stem in STEMS) and "://" not in low:
         return []
-    found = set()
-    for name, value, where in pairs(text):
-        worth = name_score(name)
-        if worth > 0 and (own := literal_score(value)) and worth + own >= LEAST_SCORE:
-            found.update(where)
+    found: set[tuple[int, int]] = set()
+    seen: dict[int, Literal] = {}
+    secret: list[Literal] = []
+    for name, value in pairs(text):
+        worth = name_score(name) if len(name) <= LOOK_CHARS else 0
+        if worth > 0 and (own := literal_score(value.look, worth >= 4)) and worth + own >= LEAST_SCORE:
+            secret.append(value)
+            while secret:  # each literal is gone through once, however many names take it over
+                x = secret.pop()
+                if id(x) not in seen:
+                    seen[id(x)] = x
+                    found.update(x.spans)
+                    secret += x.parts
     return [("lexed", a, b) for a, b in found if b > a]
 
 
@@ -187,7 +266,7 @@ def find_secrets(docs: DataFrame, key: str = "doc_id", text: str = "text", with_
 
     source = docs.select(F.col(key).alias("id"), F.col(text).alias("text"))
     schema = f"id {source.schema['id'].dataType.simpleString()}, n_assign long, n_access long, n_hex long, base_sha256 string, spans string" + ", clean string" * with_text
-    return source.mapInArrow(run, schema).withColumnRenamed("id", key)
+    return map_batches(source, run, schema).withColumnRenamed("id", key)
 
 
 def without_secrets(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -199,5 +278,5 @@ def without_secrets(docs: DataFrame, text: str = "text") -> DataFrame:
             new = [redacted(t, base_spans(t) + lexed_spans(t)) if t else t for t in rows.column(at).to_pylist()]
             yield rows.set_column(at, rows.schema.field(at), pa.array(new, rows.schema.field(at).type))
 
-    out = docs.mapInArrow(run, docs.schema)
+    out = map_batches(docs, run, docs.schema)
     return out.withColumn("n_chars", F.length(text).cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
