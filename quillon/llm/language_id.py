@@ -2,26 +2,28 @@
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
+import regex
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import crc_held_out, row_slices
+from .common import crc_held_out, map_batches, row_slices
 
 UNDETERMINED = "und"
-LETTER = re.compile(r"[^\W\d_]")
-NOT_LETTERS = re.compile(r"[\W\d_]+")
+#: Letters are the characters of Unicode's category L; numerals such as one half or the Roman twelve are none.
+LETTER, NOT_LETTERS = regex.compile(r"\p{L}"), regex.compile(r"\P{L}++")
 #: Bytes of text in a language's dictionary, and of one text that may go into it.
 DICTIONARY_BYTES, EXCERPT_BYTES = 112 << 10, 2 << 10
 #: Labelled texts of a language that are looked at for its dictionary, about.
 SAMPLE_ROWS = 400
 #: Bytes that are compressed by themselves, so that a long text's own past does not stand in for the dictionary.
 WINDOW_BYTES = 2 << 10
+#: Characters of a long text that are looked at together.
+PIECE_CHARS = 1 << 18
 #: Level for all texts; level for a second look at texts within SHORT_BYTES whose margin is within SECOND_LOOK.
 LEVEL, CLOSE_LEVEL = 6, 12
 SHORT_BYTES, SECOND_LOOK = 512, 0.03
@@ -36,23 +38,40 @@ def letters(text: str) -> bytes:
     return NOT_LETTERS.sub(" ", text.lower()).strip().encode()
 
 
+def windows(text: str) -> Iterator[bytes]:
+    """The letters of a text of any length in windows of WINDOW_BYTES, a piece of it in memory at a time."""
+    held = b""
+    for a in range(0, len(text), PIECE_CHARS):
+        piece = NOT_LETTERS.sub(" ", text[a : a + PIECE_CHARS].lower()).encode()
+        held += piece[1:] if piece[:1] == b" " and (held[-1:] == b" " or not held and not a) else piece
+        whole = max(0, len(held) - 1) // WINDOW_BYTES * WINDOW_BYTES  # the last byte stays: it tells whether a space goes on
+        for k in range(0, whole, WINDOW_BYTES):
+            yield held[k : k + WINDOW_BYTES]
+        held = held[whole:]
+    held = held.rstrip(b" ")
+    if held:
+        yield held
+
+
 def learn_dictionaries(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_id", sample_rows: int = SAMPLE_ROWS, dictionary_bytes: int = DICTIONARY_BYTES) -> Model:
     """A raw-content dictionary for each language, from a bounded sample of its texts.
 
-    The sample is the texts whose id's hash lies below a bound set from the language's count (about
-    `sample_rows` of them), taken in order of that hash, EXCERPT_BYTES characters of each, up to
-    `dictionary_bytes`. The languages stand in order of their counts.
-    Rows with a null text or language are left out.
+    The sample is the texts whose hash (of id and text) lies below a bound set from the language's count (about
+    `sample_rows` of them, equal rows once, and never more than four times as many of all languages together), in
+    order of that hash; of a longer text, the EXCERPT_BYTES characters at a place that the hash gives. The dictionary
+    is cut at `dictionary_bytes`. The languages stand in order of their counts. Rows with a null text or language are
+    left out; rows with null or repeated ids are not.
     """
     rows = labelled.where(F.col(text).isNotNull() & F.col(lang).isNotNull()).select(F.col(key).alias("id"), F.col(text).alias("text"), F.col(lang).alias("lang"))
-    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # a row a language
     if not counts:
         return []
-    rank = F.pmod(F.xxhash64("id", F.lit(23)), F.lit(1 << 30))
     bound = F.create_map(*(x for k, n in counts.items() for x in (F.lit(k), F.lit(int(min(1.0, sample_rows / n) * (1 << 30)) + 1))))
-    some = rows.withColumn("rank", rank).where(F.col("rank") < bound[F.col("lang")]).select("lang", "rank", F.substring("text", 1, EXCERPT_BYTES).alias("text"))
+    place = F.pmod(F.shiftright("rank", 30), F.greatest(F.length("text") - EXCERPT_BYTES, F.lit(0)) + 1) + 1
+    some = rows.withColumn("rank", F.xxhash64("id", "text", F.lit(23))).where(F.pmod("rank", F.lit(1 << 30)) < bound[F.col("lang")])
+    some = some.groupBy("lang", "rank").agg(F.min(F.substr("text", place, F.lit(EXCERPT_BYTES))).alias("text"))
     texts: dict[str, list[bytes]] = {k: [] for k in counts}
-    for r in sorted(some.collect(), key=lambda r: (r["rank"], r["text"])):
+    for r in some.orderBy("rank", "lang").limit(4 * sample_rows * len(counts)).collect():
         texts[r["lang"]].append(letters(r["text"]))
     order = sorted(texts, key=lambda k: (-counts[k], k))
     return [(k, b"\n".join(dict.fromkeys(texts[k]))[:dictionary_bytes]) for k in order if any(texts[k])]
@@ -71,9 +90,11 @@ class Compressors:
         d.precompute_compress(level=level)
         return zstandard.ZstdCompressor(level=level, dict_data=d, write_content_size=False, write_checksum=False, write_dict_id=False)
 
-    def _sizes(self, data: bytes, level: int) -> tuple[int, float]:
-        windows = [data[k : k + WINDOW_BYTES] for k in range(0, len(data), WINDOW_BYTES)]
-        sizes = [sum(len(c.compress(w)) for w in windows) for c in self.levels[level]]
+    def _sizes(self, parts: Iterable[bytes], level: int) -> tuple[int, float]:
+        sizes = [0] * len(self.names)
+        for w in parts:
+            for k, c in enumerate(self.levels[level]):
+                sizes[k] += len(c.compress(w))
         best = min(range(len(sizes)), key=lambda k: (sizes[k], k))
         second = min((s for k, s in enumerate(sizes) if k != best), default=0)
         return best, (second - sizes[best]) / second if second else 1.0
@@ -82,10 +103,9 @@ class Compressors:
         """(language, margin): how much smaller the best size is, as a share of the second best. Ties go to the commoner language."""
         if not self.names or not text or not LETTER.search(text):
             return UNDETERMINED, 0.0
-        data = letters(text)
-        best, margin = self._sizes(data, LEVEL)
-        if margin <= SECOND_LOOK and len(data) <= SHORT_BYTES:
-            best, margin = self._sizes(data, CLOSE_LEVEL)
+        best, margin = self._sizes(windows(text), LEVEL)
+        if margin <= SECOND_LOOK and len(text) <= SHORT_BYTES and len(data := letters(text)) <= SHORT_BYTES:
+            best, margin = self._sizes([data], CLOSE_LEVEL)
         return self.names[best], margin
 
 
@@ -107,7 +127,7 @@ def identify(docs: DataFrame, model: Model, text: str = "text", margin: float =
 
     docs = docs.drop(*names)
     kinds = (T.StringType(), T.DoubleType(), T.BooleanType())
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, *(T.StructField(n, k) for n, k in zip(names, kinds, strict=True))]))
+    return map_batches(docs, run, T.StructType([*docs.schema.fields, *(T.StructField(n, k) for n, k in zip(names, kinds, strict=True))]))
 
 
 def language_predictions(docs: DataFrame) -> DataFrame:
