@@ -6,14 +6,14 @@ import html
 import random
 import re
 from collections.abc import Iterable, Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import row_slices
+from .common import map_batches, row_slices
 
 #: Pages that the field is trained on, and its training.
 TRAINING_PAGES, ROUNDS, RATE, DECAY = 400, 150, 0.1, 2e-3
@@ -35,15 +35,54 @@ CLASS_WORDS = frozenset("ad ads advert advertisement banner sponsor sponsored pr
 @dataclass
 class Block:
     tag: str
-    path: tuple[tuple[str, tuple[str, ...]], ...]
+    tags: frozenset[str]
+    words: frozenset[str]
     text: str
     linked: int
 
 
 @dataclass
 class _Open:
+    """An open element with what its ancestors and it have: nearest block tag, block tags, class words."""
+
     tag: str
-    words: tuple[str, ...] = field(default=())
+    block: str
+    tags: frozenset[str]
+    words: frozenset[str]
+    hidden: bool = False
+
+
+class _Stack:
+    """The open elements, and for each kind of them the depths where they stand, so that no search walks the path."""
+
+    def __init__(self) -> None:
+        self.open: list[_Open] = [_Open("", "body", frozenset(), frozenset())]
+        self.at: dict[str, list[int]] = {}
+        self.blocks: list[int] = []
+        self.links = self.unseen = 0
+
+    def depth(self, *tags: str) -> int:
+        """Depth of the innermost element with one of the tags; -1 without one."""
+        return max((self.at[t][-1] for t in tags if self.at.get(t)), default=-1)
+
+    def push(self, tag: str, words: frozenset[str], hidden: bool) -> None:
+        over, depth, block = self.open[-1], len(self.open), tag in BLOCK_TAGS
+        tags = over.tags | {tag} if block and tag not in over.tags and tag not in ("html", "body") else over.tags
+        self.open.append(_Open(tag, tag if block else over.block, tags, over.words if words <= over.words else over.words | words, hidden))
+        self.at.setdefault(tag, []).append(depth)
+        if block:
+            self.blocks.append(depth)
+        self.links += tag == "a"
+        self.unseen += hidden
+
+    def close(self, depth: int) -> None:
+        while len(self.open) > depth:
+            o = self.open.pop()
+            self.at[o.tag].pop()
+            if o.tag in BLOCK_TAGS:
+                self.blocks.pop()
+            self.links -= o.tag == "a"
+            self.unseen -= o.hidden
 
 
 def leaf_blocks(page: str) -> list[Block]:
@@ -51,72 +90,62 @@ def leaf_blocks(page: str) -> list[Block]:
 
     Scripts, styles and other raw elements, comments, declarations and elements marked hidden give no
     text. Character references are decoded, white space becomes one space. A `<` that starts no tag is text.
+    Time and memory follow the page's length, however deep its elements lie.
     """
-    stack: list[_Open] = []
-    out: list[Block] = []
-    parts: list[str] = []
-    linked = at = links = unseen = 0
+    stack, out, parts = _Stack(), [], []
+    linked, at, end = 0, 0, page.rfind(">") + 1  # no markup but an open comment ends after the last >
 
     def flush() -> None:
         nonlocal linked
         if parts:
             text = " ".join(html.unescape("".join(parts)).split())
             if text:
-                tag = next((o.tag for o in reversed(stack) if o.tag in BLOCK_TAGS), "body")
-                out.append(Block(tag, tuple((o.tag, o.words) for o in stack), text, min(linked, len(text))))
+                top = stack.open[-1]
+                out.append(Block(top.block, top.tags, top.words, text, min(linked, len(text))))
             parts.clear()
         linked = 0
 
-    def close(depth: int) -> None:
-        nonlocal links, unseen
-        for o in stack[depth:]:
-            links -= o.tag == "a"
-            unseen -= "\0hidden" in o.words
-        del stack[depth:]
-
-    while m := MARKUP.search(page, at):
-        if m.start() > at and not unseen:
+    while m := MARKUP.search(page, at, end):
+        if m.start() > at and not stack.unseen:
             piece = page[at : m.start()]
             parts.append(piece)
-            linked += len(piece) if links else 0
+            linked += len(piece) if stack.links else 0
         at = m.end()
         tag = m[2]
         if not tag:
-            if m[0].startswith("<![CDATA[") and not unseen:
-                parts.append(html.escape(m[0][9:].removesuffix("]]>")))
+            if m[0].startswith("<!--") and not m[0].endswith("-->"):
+                at = len(page)
+            elif m[0].startswith("<![CDATA["):
+                if not m[0].endswith("]]>"):
+                    at = len(page)
+                if not stack.unseen:
+                    parts.append(html.escape(page[m.start() + 9 : at].removesuffix("]]>")))
             continue
         tag = tag.lower()
         if m[1]:
-            depth = next((k for k in range(len(stack) - 1, -1, -1) if stack[k].tag == tag), None)
+            depth = stack.depth(tag)
             if tag in BLOCK_TAGS:
                 flush()
-            if depth is not None and (tag in BLOCK_TAGS or not any(o.tag in BLOCK_TAGS for o in stack[depth:])):
-                close(depth)
+            if depth >= 0 and (tag in BLOCK_TAGS or not (stack.blocks and stack.blocks[-1] >= depth)):
+                stack.close(depth)
             continue
         if tag in RAW_TAGS:
             if not m[3].endswith("/"):
-                end = re.compile(rf"</{re.escape(tag)}\b[^>]*>", re.I).search(page, at)
-                at = end.end() if end else len(page)
+                close = re.compile(rf"</{re.escape(tag)}\b[^<>]*+>", re.I).search(page, at)
+                at = close.end() if close else len(page)
             continue
         if tag in BLOCK_TAGS:
             flush()
-            ends = ENDS.get(tag, ())
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k].tag in ends or stack[k].tag == "p":
-                    close(k)
-                    break
-                if stack[k].tag in SCOPES:
-                    break
+            ended = stack.depth("p", *ENDS.get(tag, ()))
+            if ended >= 0 and ended >= stack.depth(*SCOPES):
+                stack.close(ended)
         elif tag == "br":
             parts.append(" ")
         if tag not in VOID_TAGS and not m[3].endswith("/"):
-            words = tuple(w for a in ATTRIBUTE.finditer(m[3]) for w in NAMES.findall((a[2] or a[3] or a[4] or "").lower()) if w in CLASS_WORDS) if m[3] else ()
-            if m[3] and HIDDEN.search(re.sub(r"\"[^\"]*\"", lambda q: q[0] if "display" in q[0] else "", m[3])):
-                words += ("\0hidden",)
-                unseen += 1
-            stack.append(_Open(tag, words))
-            links += tag == "a"
-    if not unseen:
+            words = frozenset(w for a in ATTRIBUTE.finditer(m[3]) for w in NAMES.findall((a[2] or a[3] or a[4] or "").lower()) if w in CLASS_WORDS) if m[3] else frozenset()
+            hidden = bool(m[3]) and HIDDEN.search(re.sub(r"\"[^\"]*\"", lambda q: q[0] if "display" in q[0] else "", m[3])) is not None
+            stack.push(tag, words, hidden)
+    if not stack.unseen:
         parts.append(page[at:])
     flush()
     return out
@@ -126,16 +155,14 @@ def _bin(n: int) -> int:
     return min(8, (n // 12).bit_length())
 
 
-def features(blocks: list[Block]) -> list[list[str]]:
+def features(blocks: list[Block]) -> Iterator[list[str]]:
     """Names of the features that hold for each block."""
-    out, n = [], len(blocks)
+    n = len(blocks)
     for k, b in enumerate(blocks):
-        tags = {t for t, _ in b.path if t in BLOCK_TAGS and t not in ("html", "body")}
-        words = {w for _, ws in b.path for w in ws}
         size, share = len(b.text), b.linked / max(len(b.text), 1)
         last = b.text[-1]
         f = ["any", f"tag={b.tag}", f"size={_bin(size)}", f"linked={0 if share == 0 else 1 if share < 0.3 else 2 if share < 0.9 else 3}"]
-        f += [f"in={t}" for t in tags] + [f"class={w}" for w in words]
+        f += [f"in={t}" for t in b.tags] + [f"class={w}" for w in b.words]
         f.append("ends" if last in ".!?…\"'”»:;。" or not last.isalnum() else "open")
         f.append(f"place={min(4, 5 * k // n)}")
         if k == 0:
@@ -144,8 +171,7 @@ def features(blocks: list[Block]) -> list[list[str]]:
             f.append("copyright")
         if size < 60 and b.tag[:1] == "h" and b.tag[1:].isdigit():
             f.append("short heading")
-        out.append(f)
-    return out
+        yield f
 
 
 class ChainField:
@@ -156,7 +182,7 @@ class ChainField:
         self.weights = np.zeros(0)
         self.steps = np.zeros((2, 2))
 
-    def _scores(self, names: list[list[str]]) -> list[float]:
+    def _scores(self, names: Iterable[list[str]]) -> list[float]:
         index, w = self.index, self.known
         return [sum(w[index[f]] for f in fs if f in index) for fs in names]
 
@@ -202,12 +228,12 @@ class ChainField:
             self._known = self.weights.tolist()
         return self._known
 
-    def decode(self, names: list[list[str]]) -> list[int]:
+    def decode(self, names: Iterable[list[str]]) -> list[int]:
         """The most likely labels, by Viterbi; ties go to label 0."""
-        if not names:
-            return []
         (s00, s01), (s10, s11) = self.steps.tolist()
         scores = self._scores(names)
+        if not scores:
+            return []
         zero, one, came = 0.0, scores[0], []
         for s in scores[1:]:
             a, b = zero + s00 < one + s10, zero + s01 < one + s11
@@ -348,7 +374,7 @@ def training_set(pages: int = TRAINING_PAGES, seed: int = 31) -> list[tuple[list
         for b in blocks:
             b.text = b.text.replace("", "") or "x"
         if blocks:
-            out.append((features(blocks), labels))
+            out.append((list(features(blocks)), labels))
     return out
 
 
@@ -380,4 +406,4 @@ def extract_pages(pages: DataFrame, model: ChainField | None = None, key: str =
             yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["id", "url", "text", "n_chars"])
 
     source = pages.select(F.col(key).alias("id"), F.col(url).alias("url"), F.col(markup).alias("html"))
-    return source.mapInArrow(run, f"id {source.schema['id'].dataType.simpleString()}, url string, text string, n_chars long").withColumnRenamed("id", key)
+    return map_batches(source, run, f"id {source.schema['id'].dataType.simpleString()}, url string, text string, n_chars long").withColumnRenamed("id", key)
