@@ -9,10 +9,14 @@ from .common import small, stored
 
 #: Words of a block, slots of an output shard, rows that a window over documents orders, about.
 BLOCK_WORDS, SHARD_SLOTS, CHUNK_ROWS = 64, 4096, 1024
+#: Output shards there are at least, if there are as many slots, and shards whose draws are rotations of each other.
+LEAST_SHARDS, ROTATED = 256, 256
+#: Shards of one window of running sums, and slots that a task lays out, about.
+BAND_SHARDS, TASK_SLOTS = 1024, 1 << 18
 #: Cells into which the draw's unit interval is cut to find a slot's source by an equi-join.
 CELLS = 4096
-#: A prime over any number of blocks.
-STEP = 2305843009213693951
+#: Rounds of the permutation of block indices.
+ROUNDS = 4
 
 
 def word_count(text: str = "text") -> Column:
@@ -50,27 +54,43 @@ def packed(docs: DataFrame, rows: int) -> DataFrame:
     chunk, so no window holds a whole source.
     """
     chunks = max(16, -(-rows // CHUNK_ROWS))
-    dealt = docs.withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(chunks)))
+    dealt = docs.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "mark", F.lit(3)), F.lit(chunks)))
     sums = dealt.groupBy("source", "chunk").agg(F.sum("size").alias("words"))
-    ahead = Window.partitionBy("source").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
-    bases = sums.select(F.col("source").alias("s"), F.col("chunk").alias("c"), F.coalesce(F.sum("words").over(ahead), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("source", "chunk").orderBy("doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    bases = running(sums, "chunk", "words", CHUNK_ROWS).select(F.col("source").alias("s"), F.col("chunk").alias("c"), F.col("ahead").alias("base"))
+    inside = Window.partitionBy("source", "chunk").orderBy("doc_id", "size", "mark").rowsBetween(Window.unboundedPreceding, -1)
     dealt = dealt.withColumn("within", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     joined = dealt.join(bases, dealt["source"].eqNullSafe(bases["s"]) & (dealt["chunk"] == bases["c"]))
     return joined.withColumn("start", F.col("base") + F.col("within")).drop("s", "c", "base", "within", "chunk")
 
 
+def running(rows: DataFrame, place: str, value: str, band: int) -> DataFrame:
+    """Adds `ahead`: the sum of `value` over the rows of the same source at lower places; two levels, so that
+    a window holds `band` places of a source, or its bands.
+    """
+    rows = rows.withColumn("band", F.floor(F.col(place) / band))
+    bands = rows.groupBy("source", "band").agg(F.sum(value).alias("__sum"))
+    before = lambda keys, order: Window.partitionBy(*keys).orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    bands = bands.select(F.col("source").alias("__s"), F.col("band").alias("__b"), F.coalesce(F.sum("__sum").over(before(["source"], "band")), F.lit(0)).alias("__base"))
+    inner = rows.withColumn("__in", F.coalesce(F.sum(value).over(before(["source", "band"], place)), F.lit(0)))
+    joined = inner.join(bands, inner["source"].eqNullSafe(bands["__s"]) & (inner["band"] == bands["__b"]))
+    return joined.withColumn("ahead", F.col("__base") + F.col("__in")).drop("__s", "__b", "__base", "__in", "band")
+
+
 def uniform(seed: int, *columns) -> Column:
     """A number in [0, 1) that the columns determine."""
     return F.pmod(F.xxhash64(*columns, F.lit(seed)), F.lit(1 << 40)) / float(1 << 40)
 
 
 def drawn_slots(targets: DataFrame, block_words: int = BLOCK_WORDS, shard_slots: int = SHARD_SLOTS, seed: int = 5) -> DataFrame:
-    """(shard, source, n, first, blocks): how many slots of a shard are a source's, and which of its slots those are.
+    """(shard, source, blocks, n, ahead): how many slots of a shard are a source's, and how many of its slots
+    are in the shards before.
 
     A source's share of the slots is its target in blocks of its mean size. Each slot of a shard draws a
-    point in its own part of the unit interval and belongs to the source whose share covers it, so that a
-    shard's counts are multinomial, stratified by slot.
+    uniform point of the unit interval and belongs to the source whose share covers it; the slots of a shard
+    draw independently, so its counts are multinomial. Shards of one group draw the same points, each turned
+    by its own multiple of one part of the interval: a turned uniform point is uniform, so every shard's
+    counts stay multinomial, but the group's counts together come within rounding of their expectation,
+    which keeps the sources near their targets.
     """
     spark = targets.sparkSession
     live = targets.where(F.col("source_size") > 0).withColumn("blocks", F.ceil(F.col("source_size") / block_words)).withColumn("slots", F.col("target") * F.col("blocks") / F.col("source_size"))
@@ -79,41 +99,57 @@ def drawn_slots(targets: DataFrame, block_words: int = BLOCK_WORDS, shard_slots:
     shares = stored(shares.select("source", "blocks", "total", ((F.col("high") - F.col("slots")) / F.col("total")).alias("low"), F.when(F.col("high") == F.col("total"), 1.0).otherwise(F.col("high") / F.col("total")).alias("high")), "shares")
     total = round(shares.agg(F.max("total")).first()[0] or 0)
     cells = shares.withColumn("cell", F.explode(F.sequence(F.floor(F.col("low") * CELLS), F.least(F.floor(F.col("high") * CELLS), F.lit(CELLS - 1)))))
-    shards = -(-total // shard_slots)
-    slots = spark.range(total).select((F.col("id") % shards).alias("shard"), F.floor(F.col("id") / max(shards, 1)).alias("slot"))
-    own = F.floor((F.lit(total) - F.col("shard") - 1) / max(shards, 1)) + 1  # slots of this shard
-    slots = slots.withColumn("u", (F.col("slot") + uniform(seed, "shard", "slot")) / own)
-    slots = slots.withColumn("cell", F.floor(F.col("u") * CELLS))
+    shards = max(-(-total // shard_slots), min(LEAST_SHARDS, total), 1)
+    own = max(-(-total // shards), 1)  # slots of a shard
+    parts = max(spark.sparkContext.defaultParallelism, -(-total // (1 << 22)))
+    slots = spark.range(0, total, 1, parts).select(F.floor(F.col("id") / own).alias("shard"), (F.col("id") % own).alias("slot"))
+    group = F.floor(F.col("shard") / ROTATED)
+    turn = (F.col("shard") % ROTATED) / F.least(F.lit(ROTATED), F.lit(-(-total // own)) - group * ROTATED)
+    point = uniform(seed, group, "slot") + turn
+    slots = slots.withColumn("u", point - F.floor(point)).withColumn("cell", F.floor(F.col("u") * CELLS))
     drawn = slots.join(small(cells), "cell").where((F.col("u") >= F.col("low")) & (F.col("u") < F.col("high")))
-    counts = drawn.groupBy("shard", "source", "blocks").agg(F.count("*").alias("n"))
-    before = Window.partitionBy("source").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
-    return counts.withColumn("first", F.coalesce(F.sum("n").over(before), F.lit(0)))
+    counts = stored(drawn.groupBy("shard", "source", "blocks").agg(F.count("*").alias("n")), "counts")
+    return running(counts, "shard", "n", BAND_SHARDS).repartition(max(1, -(-total // TASK_SLOTS)), "source", "shard")
+
+
+def permuted(t: Column, blocks: Column, *key) -> Column:
+    """The place of index `t` in a keyed pseudorandom permutation of 0 .. blocks - 1.
+
+    A Feistel network over pairs (l, r) below a and b, the least a x b grid with at least `blocks` points and
+    a = ceil(sqrt(blocks)); while it leads out of the range it is applied again, which happens to fewer than
+    one index in sqrt(blocks), and at most as often as the grid has points too many.
+    """
+    a = F.ceil(F.sqrt(blocks.cast("double")))
+    b = F.ceil(blocks / a)
+
+    def once(x: Column) -> Column:
+        left, right = F.floor(x / b), x % b
+        for k in range(ROUNDS):
+            if k % 2:
+                right = (right + F.pmod(F.xxhash64(left, F.lit(k), *key), b)) % b
+            else:
+                left = (left + F.pmod(F.xxhash64(right, F.lit(k), *key), a)) % a
+        return left * b + right
+
+    first = once(t)
+    walked = F.aggregate(F.sequence(F.lit(1).cast("long"), a * b - blocks), first, lambda x, _: F.when(x >= blocks, once(x)).otherwise(x))
+    return F.when(first >= blocks, walked).otherwise(first)
 
 
 def slot_blocks(slots: DataFrame, most: int = 2, seed: int = 9) -> DataFrame:
     """(shard, source, slot, block, pass): each slot's block, through the source's permutation of block indices.
 
-    Pass p of a source goes through all its blocks once, in the order (a t + c) mod blocks with a prime a
-    that no number of blocks divides and c drawn by source and pass. Slots after pass `most` stay empty.
+    Pass p of a source goes through all its blocks once, in the order of a permutation keyed by source and
+    pass. Slots after pass `most` stay empty.
     """
-    rows = slots.withColumn("slot", F.explode(F.sequence(F.col("first"), F.col("first") + F.col("n") - 1))).where(F.col("slot") < most * F.col("blocks"))
+    rows = slots.withColumn("slot", F.explode(F.sequence(F.col("ahead"), F.col("ahead") + F.col("n") - 1))).where(F.col("slot") < most * F.col("blocks"))
     rows = rows.withColumn("pass", F.floor(F.col("slot") / F.col("blocks"))).withColumn("t", F.col("slot") % F.col("blocks"))
-    wide = lambda c: c.cast("decimal(19,0)")
-    offset = F.pmod(F.xxhash64("source", "pass", F.lit(seed)), "blocks")
-    block = (wide(F.lit(STEP) % F.col("blocks")) * wide(F.col("t")) + wide(offset)) % wide(F.col("blocks"))
-    return rows.select("shard", "source", "slot", block.cast("long").alias("block"), "pass")
+    return rows.select("shard", "source", "slot", permuted(F.col("t"), F.col("blocks"), "source", "pass", F.lit(seed)).alias("block"), "pass")
 
 
-def mixture(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, most: int = 2, block_words: int = BLOCK_WORDS, key: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
-    """Per document: doc_id, source, size, source_size, target, taken.
-
-    Every source's words, document after document, are packed into blocks of `block_words`; slots are drawn
-    for sources, mapped to blocks and joined by block index; `taken` counts the words of a document in the
-    blocks taken, repeats counted. Each pass takes a block once at most, so no document exceeds `most` times
-    its size. The result depends on the rows alone. Null texts have size 0; null is a source; rows with equal
-    ids are documents of their own. Empty tables give empty results; other columns are ignored.
-    """
-    sized = stored(docs.select(F.col(key).alias("doc_id"), F.col(source).alias("source"), word_count(text).alias("size")), "sizes")
+def _mixture(docs: DataFrame, weights: tuple[int, ...], share: float, most: int, block_words: int, key: str, text: str, source: str) -> DataFrame:
+    """As `mixture`, with `mark`: a hash of id, source and text, which tells rows of one id apart."""
+    sized = stored(docs.select(F.col(key).alias("doc_id"), F.col(source).alias("source"), word_count(text).alias("size"), _mark(key, source, text).alias("mark")), "sizes")
     rows = sized.count()
     targets = stored(source_targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most), "targets")
     places = stored(packed(sized, rows), "places")
@@ -122,18 +158,36 @@ def mixture(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float
     parts = places.where("size > 0").withColumn("block", F.explode(F.sequence(F.floor(F.col("start") / block_words), last)))
     words = F.least(F.col("start") + F.col("size"), (F.col("block") + 1) * block_words) - F.greatest(F.col("start"), F.col("block") * block_words)
     parts = parts.join(uses, parts["source"].eqNullSafe(uses["s"]) & (parts["block"] == uses["b"]), "left")
-    taken = parts.groupBy("doc_id", "source", "size", "start").agg(F.sum(words * F.coalesce("uses", F.lit(0))).cast("long").alias("taken")).drop("start")
-    every = taken.union(places.where("size = 0").select("doc_id", "source", "size", F.lit(0).cast("long").alias("taken")))
+    taken = parts.groupBy("doc_id", "source", "size", "mark", "start").agg(F.sum(words * F.coalesce("uses", F.lit(0))).cast("long").alias("taken")).drop("start")
+    every = taken.union(places.where("size = 0").select("doc_id", "source", "size", "mark", F.lit(0).cast("long").alias("taken")))
     named = targets.select(F.col("source").alias("s"), "source_size", "target")
     return every.join(small(named, 10_000), every["source"].eqNullSafe(F.col("s"))).drop("s")
 
 
-def mixed_documents(docs: DataFrame, seed: int = 13) -> DataFrame:
+def _mark(key: str, source: str, text: str) -> Column:
+    return F.xxhash64(F.col(key), F.col(source), F.col(text))
+
+
+def mixture(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, most: int = 2, block_words: int = BLOCK_WORDS, key: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
+    """Per document: doc_id, source, size, source_size, target, taken.
+
+    Every source's words, document after document, are packed into blocks of `block_words`; slots are drawn
+    for sources, mapped to blocks and joined by block index; `taken` counts the words of a document in the
+    blocks taken, repeats counted. Each pass takes a block once at most, so no document exceeds `most` times
+    its size. The result depends on the rows alone. Null texts have size 0; null is a source; a null id is an
+    id like others; rows with equal ids are documents of their own. Empty tables give empty results; other
+    columns, whatever their names, are ignored.
+    """
+    return _mixture(docs, weights, share, most, block_words, key, text, source).drop("mark")
+
+
+def mixed_documents(docs: DataFrame, seed: int = 13, key: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
     """The rows of `docs`, each as many times as the mixture takes it: taken / size, rounded down or up by a draw.
 
-    Documents without words are not taken. Of rows with one id the mixture's taken words are averaged.
+    Documents without words are not taken. Rows that repeat id, source and text share what they are taken
+    together. Null ids count as ids. All columns come back as they were, whatever their names.
     """
-    mix = mixture(docs).where("size > 0").groupBy(F.col("doc_id").alias("id")).agg((F.sum("taken") / F.sum("size")).alias("times"))
-    times = mix.withColumn("copies", F.floor(F.col("times") + uniform(seed, "id")).cast("int")).where("copies > 0").select("id", "copies")
-    out = docs.join(small(times), docs["doc_id"] == times["id"]).withColumn("copy", F.explode(F.sequence(F.lit(1), "copies")))
-    return out.select(*docs.columns)
+    mix = _mixture(docs, (3, 1, 2), 1.5, 2, BLOCK_WORDS, key, text, source).where("size > 0").groupBy("mark").agg((F.sum("taken") / F.sum("size")).alias("times"))
+    times = stored(mix.select("mark", F.floor(F.col("times") + uniform(seed, "mark")).cast("int").alias("copies")).where("copies > 0"), "times")
+    out = docs.select(F.struct("*").alias("row"), _mark(key, source, text).alias("mark")).join(small(times), "mark")
+    return out.select("row", F.explode(F.sequence(F.lit(1), "copies"))).select("row.*")
