@@ -7,11 +7,10 @@ read again as the next stage's docs. All but the last return the columns of `doc
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from quillon.llm.bpe import bpe_digests
-from quillon.llm.common import crc_held_out, small, stored
-from quillon.llm.jaccard_join import jaccard_components
+from quillon.llm.common import crc_held_out, stored
+from quillon.llm.jaccard_join import one_of_each_group
 from quillon.llm.language_id import identify, learn_dictionaries
 from quillon.llm.mixing import mixed_documents
 from quillon.llm.secrets import without_secrets
@@ -22,6 +21,10 @@ OWN = ("__lang_pred", "__lang_score", "__lang_ok")
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the documents whose language is told by the operator's own margin; without a letter, with a tie
     of languages or a margin below it, they go.
+
+    Null texts have no letter and go. Null languages, sources and ids stay as they are; repeated rows are judged
+    alike. An empty table gives an empty one. Other columns stay, whatever their names, but for three of this
+    stage's own (`OWN`), which are left out.
     """
     model = learn_dictionaries(docs.where(~crc_held_out()))
     return identify(docs, model, names=OWN).where(OWN[2]).drop(*OWN)
@@ -30,26 +33,35 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each group of near copies: the one with the smallest id, once if its row repeats.
 
-    Documents without an id stay.
+    Documents with null ids come after all others; different texts under one id, or without one, are documents
+    of their own. Null and wordless texts all stay. An empty table gives an empty one; other columns stay.
     """
-    kept = jaccard_components(docs).where("doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    kept = stored(kept, "kept")
-    first = docs.join(small(kept), docs["doc_id"] == kept["__kept"], "left_semi")
-    return first.dropDuplicates(["doc_id"]).unionByName(docs.where(F.col("doc_id").isNull()))
+    return one_of_each_group(docs)
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Replaces the secrets in the texts; all documents stay."""
+    """Replaces the secrets in the texts; all documents stay, null texts as they are, repeated rows alike.
+
+    A column n_chars follows the new text. An empty table gives an empty one; other columns stay.
+    """
     return without_secrets(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Takes each document as many times as its source's target asks for."""
+    """Takes each document as many times as its source's target asks for.
+
+    Documents without words are not taken; a null source is a source, a null id an id like others; repeated rows
+    share what they are taken together. An empty table gives an empty one; other columns stay, whatever their names.
+    """
     return mixed_documents(docs)
 
 
 def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token counts and digests of each document taken."""
+    """Token counts and digests of each document taken: doc_id, n_tokens, ids_sha256, decoded_sha256.
+
+    Null texts have no tokens; null ids stay, repeated rows give repeated rows. An empty table gives an empty
+    one; other columns are left out.
+    """
     return bpe_digests(docs)
 
 
