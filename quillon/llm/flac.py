@@ -24,7 +24,9 @@ from .common import map_batches, slices, utf8
 BLOCK = 576
 RATE = 8000
 #: Text bytes that are coded together; each takes some 100 bytes of memory meanwhile.
-CODE_BYTES = 1 << 19
+CODE_BYTES = 1 << 18
+#: Frames that are coded together, of one stream or of many.
+FRAMES = 512
 
 # Fixed values of the format: polynomials of the two checksums, block sizes by code.
 CRC8, CRC16 = 0x07, 0x8005
@@ -220,12 +222,17 @@ def encode(payloads: list[np.ndarray], order: int = 2) -> list[bytes]:
     blocks = np.concatenate(payloads).reshape(-1, BLOCK)
     ends = np.cumsum(counts)
     numbers = np.arange(len(blocks)) - np.repeat(ends - counts, counts)
-    data, at = encode_frames(blocks, numbers, order)
-    raw, out = data.tobytes(), []
+    coded, lengths = [], []
+    for k in range(0, len(blocks), FRAMES):
+        data, at = encode_frames(blocks[k : k + FRAMES], numbers[k : k + FRAMES], order)
+        coded.append(data.tobytes())
+        lengths.append(np.diff(at))
+    raw, out, at = b"".join(coded), [], np.concatenate(([0], np.cumsum(np.concatenate(lengths))))
+    coded.clear()
     for p, a, b in zip(payloads, (ends - counts).tolist(), ends.tolist(), strict=True):
         sizes = np.diff(at[a : b + 1])
         samples = len(p)
-        md5 = hashlib.md5((p ^ 0x80).tobytes()).digest()
+        md5 = hashlib.md5(p ^ 0x80).digest()
         info = struct.pack(">HH", BLOCK, BLOCK) + int(sizes.min()).to_bytes(3, "big") + int(sizes.max()).to_bytes(3, "big") + ((RATE << 44) | (7 << 36) | samples).to_bytes(8, "big") + md5
         points = np.zeros(b - a, np.dtype([("sample", ">u8"), ("offset", ">u8"), ("n", ">u2")]))
         points["sample"], points["offset"], points["n"] = np.arange(b - a) * BLOCK, at[a:b] - at[a], BLOCK
@@ -436,36 +443,62 @@ def _predict(x: np.ndarray, fixed: np.ndarray, linear: np.ndarray, coefficients:
         x[:, rows] = own
 
 
-def decode(streams: list[bytes]) -> list[np.ndarray]:
-    """The samples of each stream, all checksums verified. Seek points must be frame starts."""
+def decode_blocks(streams: list[bytes]) -> Iterator[tuple[int, int, np.ndarray]]:
+    """(stream, sample offset, samples) of successive runs of frames, all checksums verified.
+
+    A group of FRAMES seek points is decoded at a time, of one stream or of several together, so that a long
+    stream never is in memory as samples. Seek points must be frame starts; without any a stream is one run.
+    """
     heads = [_metadata(s) for s in streams]
-    base = np.cumsum([0, *map(len, streams)])
-    data = np.frombuffer(b"".join(streams), np.uint8)
-    bits = _Bits(data)
-    owner = np.concatenate([np.full(len(h[5]), n) for n, h in enumerate(heads)])
-    at = np.concatenate([h[5] + h[6] + b for h, b in zip(heads, base[:-1].tolist(), strict=True)])
-    sample = np.concatenate([h[4] for h in heads])
-    limit = np.concatenate([np.append(h[5][1:] + h[6] + b, b + len(s)) for h, b, s in zip(heads, base[:-1].tolist(), streams, strict=True)])
-    out = [np.zeros(h[0], np.int32) for h in heads]
-    starts = np.cumsum([0, *(h[0] for h in heads)])
-    flat, depth = np.zeros(int(starts[-1]), np.int32), np.array([h[1] for h in heads])
-    while len(at):
-        x, sizes, ends = _decode_frames(data, bits, at, depth[owner])
-        if (sample + sizes > np.diff(starts)[owner]).any() or (ends > limit).any():
-            raise FlacError("frames go beyond the stream")
-        to = starts[owner] + sample
-        if (sizes == sizes[0]).all():
-            flat[to[:, None] + np.arange(int(sizes[0]))] = x
-        else:
-            for row, a, n in zip(x, to.tolist(), sizes.tolist(), strict=True):
-                flat[a : a + n] = row[:n]
-        more = ends < limit
-        at, sample, owner, limit = ends[more], (sample + sizes)[more], owner[more], limit[more]
-    for n, h in enumerate(heads):
-        out[n] = flat[starts[n] : starts[n + 1]]
-        if h[1] == 8 and any(h[3]) and hashlib.md5(out[n].astype(np.int8).tobytes()).digest() != h[3]:
-            raise FlacError("the stream's MD5 differs")
-    return out
+    points = [(n, h[6] + o, end, int(sample), int(stop)) for n, (h, s) in enumerate(zip(heads, streams, strict=True)) for o, end, sample, stop in zip(h[5].tolist(), [*(h[5][1:] + h[6]).tolist(), len(s)], h[4], [*h[4][1:], h[0]], strict=True)]
+    sums = [hashlib.md5() for _ in streams]
+    for k in range(0, len(points), FRAMES):
+        group = points[k : k + FRAMES]
+        owner = np.array([p[0] for p in group])
+        lo, hi, base = {}, {}, {}
+        for n, at, end, sample, stop in group:
+            lo[n], hi[n] = min(lo.get(n, at), at), max(hi.get(n, end), end)
+            base.setdefault(n, [sample, stop])
+            base[n] = [min(base[n][0], sample), max(base[n][1], stop)]
+        place, where = 0, {}
+        for n in lo:
+            where[n] = place - lo[n]
+            place += hi[n] - lo[n]
+        data = np.frombuffer(b"".join(streams[n][lo[n] : hi[n]] for n in lo), np.uint8)
+        at, limit = np.array([where[n] + x for n, x, _, _, _ in group]), np.array([where[n] + x for n, _, x, _, _ in group])
+        sample, starts, total = np.array([p[3] for p in group]), {}, 0
+        for n, (x, y) in base.items():
+            starts[n] = total - x
+            total += y - x
+        shift, last = np.array([starts[n] for n in owner.tolist()]), np.array([base[n][1] for n in owner.tolist()])
+        flat, depth, bits = np.zeros(total, np.int16), np.array([heads[n][1] for n in owner.tolist()]), _Bits(data)
+        while len(at):
+            x, sizes, ends = _decode_frames(data, bits, at, depth)
+            if (sample + sizes > last).any() or (ends > limit).any():
+                raise FlacError("frames go beyond the stream")
+            to = shift + sample
+            if (sizes == sizes[0]).all():
+                flat[to[:, None] + np.arange(int(sizes[0]))] = x
+            else:
+                for row, a, n in zip(x, to.tolist(), sizes.tolist(), strict=True):
+                    flat[a : a + n] = row[:n]
+            more = ends < limit
+            at, sample, limit, shift, last, depth = ends[more], (sample + sizes)[more], limit[more], shift[more], last[more], depth[more]
+        for n, (x, y) in base.items():
+            own = flat[starts[n] + x : starts[n] + y]
+            if heads[n][1] == 8:
+                sums[n].update(own.astype(np.int8))
+                if y == heads[n][0] and any(heads[n][3]) and sums[n].digest() != heads[n][3]:
+                    raise FlacError("the stream's MD5 differs")
+            yield n, x, own
+
+
+def decode(streams: list[bytes]) -> list[np.ndarray]:
+    """The samples of each stream."""
+    parts: list[list[np.ndarray]] = [[] for _ in streams]
+    for n, _, x in decode_blocks(streams):
+        parts[n].append(x)
+    return [np.concatenate(p) if p else np.zeros(0, np.int16) for p in parts]
 
 
 def payloads(data: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
@@ -478,11 +511,31 @@ def payloads(data: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
     return out
 
 
-def feature(x: np.ndarray) -> str:
-    """Energy, sign changes, peak and sum of steps of the samples, as integers."""
-    wide = x.astype(np.int64)
-    steps = np.abs(np.diff(wide)).sum()
-    return f"energy={int((wide * wide).sum())};crossings={int(((wide[1:] < 0) != (wide[:-1] < 0)).sum())};peak={int(np.abs(wide).max())};steps={int(steps)}"
+class Digests:
+    """What the query tells of a stream's samples, taken from one block of them after another."""
+
+    def __init__(self) -> None:
+        self.size = self.energy = self.crossings = self.peak = self.steps = 0
+        self.sha, self.tail, self.last = hashlib.sha256(), b"", None
+
+    def update(self, x: np.ndarray) -> None:
+        for a in range(0, len(x), 1 << 16):
+            wide = x[a : a + (1 << 16)].astype(np.int64)
+            raw = (wide + 128).astype(np.uint8).tobytes()
+            self.sha.update(raw)
+            self.tail = (self.tail + raw)[-32:]
+            self.size += len(raw)
+            joined = wide if self.last is None else np.concatenate(([self.last], wide))
+            self.energy += int((wide * wide).sum())
+            self.crossings += int(((joined[1:] < 0) != (joined[:-1] < 0)).sum())
+            self.peak = max(self.peak, int(np.abs(wide).max()))
+            self.steps += int(np.abs(np.diff(joined)).sum())
+            self.last = int(wide[-1])
+
+    @property
+    def feature(self) -> str:
+        """Energy, sign changes, peak and sum of steps of the samples, as integers."""
+        return f"energy={self.energy};crossings={self.crossings};peak={self.peak};steps={self.steps}"
 
 
 def _small(batches: Iterable[pa.RecordBatch], column: int, most: int) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
@@ -498,20 +551,22 @@ def media_digests(docs: DataFrame, key: str = "doc_id", text: str = "text", orde
     """Each text's UTF-8 bytes as a FLAC stream, read back: key, n_bytes, payload_bytes, payload_sha256,
     tail_crc32, media_bytes, media_sha256, feature; `with_media` adds the stream itself.
 
-    All digests but n_bytes are of what the decoder gives, the media's of the stream. Null and empty
-    texts are one block of 255. Equal texts give equal values. Texts are stored whole; repeated rows are
-    treated alike; other columns are ignored.
+    All digests but n_bytes are of the PCM blocks that the decoder gives at the stream's seek points, the media's
+    of the stream. Null and empty texts are one block of 255. Equal texts give equal values. Texts are stored
+    whole, long ones in bounded memory besides their own bytes; repeated rows are treated alike; an empty table
+    gives an empty result; other columns, whatever their names, are ignored.
     """
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, data, at in _small(batches, 1, CODE_BYTES):
             media = encode(payloads(data, at), order)
-            samples = decode(media)
-            back = [(x + 128).astype(np.uint8).tobytes() for x in samples]
+            back = [Digests() for _ in media]
+            for n, _, samples in decode_blocks(media):
+                back[n].update(samples)
             columns = [
-                pa.array(np.diff(at)), pa.array([len(b) for b in back], pa.int64()), pa.array([hashlib.sha256(b).hexdigest() for b in back], pa.string()),
-                pa.array([zlib.crc32(b[-32:]) for b in back], pa.int64()), pa.array([len(m) for m in media], pa.int64()),
-                pa.array([hashlib.sha256(m).hexdigest() for m in media], pa.string()), pa.array([feature(x) for x in samples], pa.string()),
+                pa.array(np.diff(at)), pa.array([b.size for b in back], pa.int64()), pa.array([b.sha.hexdigest() for b in back], pa.string()),
+                pa.array([zlib.crc32(b.tail) for b in back], pa.int64()), pa.array([len(m) for m in media], pa.int64()),
+                pa.array([hashlib.sha256(m).hexdigest() for m in media], pa.string()), pa.array([b.feature for b in back], pa.string()),
             ]
             columns += [pa.array(media, pa.binary())] if with_media else []
             yield pa.RecordBatch.from_arrays([rows.column(0), *columns], names=["id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "media"][: len(columns) + 1])
@@ -524,20 +579,32 @@ def media_digests(docs: DataFrame, key: str = "doc_id", text: str = "text", orde
 def pcm_blocks(media: DataFrame, key: str = "doc_id", column: str = "media", block_samples: int = BLOCK * 64) -> DataFrame:
     """Decodes FLAC streams into seekable blocks: key, block, sample_offset, n_samples, pcm (16-bit little-endian).
 
-    A row whose stream is null gives no blocks; a damaged stream fails the job.
+    A row whose stream is null gives no blocks; a damaged stream fails the job. Repeated rows give repeated
+    blocks; an empty table gives none; other columns are ignored.
     """
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in batches:
             for k in range(rows.num_rows):
                 stream = rows.column(1)[k].as_py()
-                if stream is None:
-                    continue
-                [x] = decode([stream])
-                cuts = list(range(0, len(x), block_samples))
-                pcm = [x[a : a + block_samples].astype("<i2").tobytes() for a in cuts]
-                ids = pa.array([rows.column(0)[k].as_py()] * len(cuts), rows.column(0).type)
-                yield pa.RecordBatch.from_arrays([ids, pa.array(range(len(cuts)), pa.int64()), pa.array(cuts, pa.int64()), pa.array([len(p) // 2 for p in pcm], pa.int64()), pa.array(pcm, pa.binary())], names=["id", "block", "sample_offset", "n_samples", "pcm"])
+                held, offset, size = [], 0, 0
+
+                def block() -> pa.RecordBatch:
+                    x = np.concatenate(held)
+                    cut = x[:block_samples]
+                    held[:] = [x[block_samples:]]
+                    columns = [[offset // block_samples], [offset], [len(cut)], [cut.astype("<i2").tobytes()]]
+                    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary())
+                    return pa.RecordBatch.from_arrays([rows.column(0).slice(k, 1), *(pa.array(c, t) for c, t in zip(columns, kinds, strict=True))], names=["id", "block", "sample_offset", "n_samples", "pcm"])
+
+                for _, _, x in decode_blocks([stream]) if stream is not None else ():
+                    held.append(x)
+                    size += len(x)
+                    while size >= block_samples:
+                        yield block()
+                        offset, size = offset + block_samples, size - block_samples
+                if size:
+                    yield block()
 
     source = media.select(F.col(key).alias("id"), F.col(column).alias("media"))
     return map_batches(source, run, f"id {source.schema['id'].dataType.simpleString()}, block long, sample_offset long, n_samples long, pcm binary").withColumnRenamed("id", key)
