@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import crc_held_out, map_batches, text_slices
-from .textkernel import NOT_TERM, U, word_hashes
+from .textkernel import NOT_TERM, PIECE_BYTES, U, word_hashes, word_pieces
 
 BUCKETS = 1 << 20
 #: Labelled documents that the model is fitted on, about.
@@ -45,7 +45,16 @@ class Machine:
 
 
 def terms_of(data: np.ndarray, at: np.ndarray, buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
-    """(text, bucket) of every term of many texts; a term is a run of letters, digits and bytes over 127, A-Z as a-z."""
+    """(text, bucket) of the terms of many texts; a term is a run of letters, digits and bytes over 127, A-Z as a-z.
+
+    Of one long text, each bucket once, with a bit of memory a bucket.
+    """
+    if len(at) == 2 and len(data) > 8 * PIECE_BYTES:
+        seen = np.zeros(buckets, bool)
+        for hashes, _ in word_pieces(data, at, NOT_TERM):
+            seen[(hashes & U(buckets - 1)).astype(np.int64)] = True
+        found = np.flatnonzero(seen)
+        return np.zeros(len(found), np.int64), found
     words, bounds = word_hashes(data, at, NOT_TERM)
     return np.repeat(np.arange(len(at) - 1), np.diff(bounds)), (words & U(buckets - 1)).astype(np.int64)
 
@@ -161,14 +170,16 @@ def fit(documents: list[np.ndarray], labels: np.ndarray, rank: int = RANK, round
 
 
 def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Machine:
-    """A machine from a bounded sample of the labelled documents: those whose id's hash lies below a bound.
+    """A machine from a bounded sample of the labelled documents: those whose hash (of id and text) lies below a bound.
 
-    Rows with a null text or label are left out; of rows with one id, the sample's texts each count.
+    The bound is set from the number of labelled rows, so that about `sample_rows` pass; equal rows count once,
+    and never more than four times as many are taken. Rows with a null text, label or id are left out; of rows
+    with one id, the sample's texts each count.
     """
-    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("id"), F.col("toxic").cast("int").alias("toxic"))
-    n = known.count()
+    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("id"), F.col("toxic").cast("int").alias("toxic")).distinct()
+    texts = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").alias("id"), "text")
+    n = texts.select("id").join(known, "id").count()
     bound = int(min(1.0, sample_rows / max(n, 1)) * (1 << 30))
-    some = known.where(F.pmod(F.xxhash64("id", F.lit(29)), F.lit(1 << 30)) < bound)
 
     def terms(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, data, at in text_slices(batches):
@@ -178,8 +189,9 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) ->
             values = pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array((distinct % BUCKETS).astype(np.int32)))
             yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(2), values], names=["id", "toxic", "terms"])
 
-    texts = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").alias("id"), "text")
-    sample = map_batches(texts.join(F.broadcast(some), "id").select("id", "text", "toxic"), terms, f"id {texts.schema['id'].dataType.simpleString()}, toxic int, terms array<int>")
+    some = texts.where(F.pmod(F.xxhash64("id", "text", F.lit(29)), F.lit(1 << 30)) < bound).dropDuplicates(["id", "text"])
+    some = some.join(known, "id").select("id", "text", "toxic")
+    sample = map_batches(some, terms, f"id {texts.schema['id'].dataType.simpleString()}, toxic int, terms array<int>").limit(4 * sample_rows)
     got = sample.toPandas().sort_values("id", kind="stable")
     got = got.assign(size=got["terms"].map(len)).sort_values(["id", "toxic", "size"], kind="stable")
     return fit([np.asarray(t, np.int64) for t in got["terms"]], got["toxic"].to_numpy(np.int64))
