@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 from ..sources.files import stored
 from .bag import margins
 
-#: Itemsets that are broadcast and counted together; items that a dictionary may have; itemsets a pool may have.
-BATCH_SETS, MOST_ITEMS, MOST_SETS = 1 << 18, 1 << 20, 1 << 22
+#: Itemsets that are broadcast and counted together; items that a dictionary may have; itemsets a pool may have, candidates that are joined together.
+BATCH_SETS, MOST_ITEMS, MOST_SETS, JOINED_SETS = 1 << 18, 1 << 20, 1 << 23, 1 << 20
 #: Cells of a chunk's matrix, before it is packed into bits.
 CHUNK_CELLS = 1 << 25
 
@@ -143,20 +143,28 @@ def vertical(rows: DataFrame, min_support: int = 1, like: Vertical | None = None
     return Vertical(stored(_chunks(rows, items), "chunks"), items, supports, n, of["m"], of["rest"] or 0.0, min_support)
 
 
-def _joined(level: np.ndarray) -> np.ndarray:
-    """Sets of one item more, from pairs of sorted sets that share all but the last item."""
-    if not len(level):
-        return np.zeros((0, level.shape[1] + 1), np.int32)
-    same = np.ones(len(level), bool)
-    same[1:] = (level[1:, :-1] == level[:-1, :-1]).all(axis=1)
-    same[0] = False
-    starts = np.flatnonzero(~same)
+def _partners(level: np.ndarray) -> np.ndarray:
+    """For each of the sorted sets, how many after it share all but the last item."""
+    fresh = np.ones(len(level), bool)
+    fresh[1:] = (level[1:, :-1] != level[:-1, :-1]).any(axis=1)
+    starts = np.flatnonzero(fresh)
     ends = np.append(starts[1:], len(level))
-    own_end = np.repeat(ends, ends - starts)
-    partners = own_end - np.arange(len(level)) - 1
-    left = np.repeat(np.arange(len(level)), partners)
-    right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(partners) - partners, partners)
-    return np.concatenate((level[left], level[right, -1:]), axis=1)
+    return np.repeat(ends, ends - starts) - np.arange(len(level)) - 1
+
+
+def _joined(level: np.ndarray) -> Iterator[np.ndarray]:
+    """Sets of one item more, from pairs of sorted sets that share all but the last item, JOINED_SETS or so at a time."""
+    partners = _partners(level) if len(level) else np.zeros(0, np.int64)
+    total = np.cumsum(partners)
+    a = 0
+    while a < len(level):
+        b = max(a + 1, int(np.searchsorted(total, (total[a - 1] if a else 0) + JOINED_SETS, side="right")))
+        own = partners[a:b]
+        left = np.repeat(np.arange(a, b), own)
+        right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(own) - own, own)
+        if len(left):
+            yield np.concatenate((level[left], level[right, -1:]), axis=1)
+        a = b
 
 
 def _all_parts_frequent(sets: np.ndarray, level: np.ndarray, items: int) -> np.ndarray:
@@ -176,30 +184,23 @@ def _all_parts_frequent(sets: np.ndarray, level: np.ndarray, items: int) -> np.n
 def frequent_sets(v: Vertical, max_size: int | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """(itemsets of one size, supports) from size 2 on, level by level: joined from the level before, counted on the executors.
 
-    Every itemset with the minimum support is there. More than MOST_SETS candidates of a size raise PoolTooLarge.
+    Every itemset with the minimum support is there. More than MOST_SETS of them raise PoolTooLarge.
     """
-    level, size = np.arange(len(v.items), dtype=np.int32)[:, None], 1
+    level, size, found = np.arange(len(v.items), dtype=np.int32)[:, None], 1, 0
     while len(level) > 1 and (max_size is None or size < max_size):
-        if sum_pairs(level) > MOST_SETS:
-            raise PoolTooLarge(f"more than {MOST_SETS} candidates of {size + 1} items; raise the minimum support")
-        sets = _joined(level)
-        sets = sets[_all_parts_frequent(sets, level, len(v.items))]
-        supports = v.supports_of(sets)
-        keep = supports >= max(v.min_support, 1)
-        level, size = sets[keep], size + 1
+        kept, counts = [np.zeros((0, size + 1), np.int32)], [np.zeros(0, np.int64)]
+        for sets in _joined(level):
+            sets = sets[_all_parts_frequent(sets, level, len(v.items))]
+            supports = v.supports_of(sets)
+            keep = supports >= max(v.min_support, 1)
+            kept.append(sets[keep])
+            counts.append(supports[keep])
+            found += int(keep.sum())
+            if found > MOST_SETS:
+                raise PoolTooLarge(f"more than {MOST_SETS} itemsets have the minimum support {v.min_support}; raise it, or limit their size")
+        level, size = np.concatenate(kept), size + 1
         if len(level):
-            yield level, supports[keep]
-
-
-def sum_pairs(level: np.ndarray) -> int:
-    """How many sets `_joined` would give."""
-    if level.shape[1] == 1:
-        return len(level) * (len(level) - 1) // 2
-    same = np.ones(len(level), bool)
-    same[1:] = (level[1:, :-1] == level[:-1, :-1]).all(axis=1)
-    same[0] = False
-    sizes = np.diff(np.append(np.flatnonzero(~same), len(level))).astype(np.int64)
-    return int((sizes * (sizes - 1) // 2).sum())
+            yield level, np.concatenate(counts)
 
 
 def mine(v: Vertical, max_size: int | None = None) -> DataFrame:

@@ -23,11 +23,11 @@ def independent(spark: SparkSession, rows: int, items: int = 50, seed: str = "in
 
 
 def chain(spark: SparkSession, rows: int, items: int = 50, seed: str = "chain") -> DataFrame:
-    """Each item is a copy of the one before it with probability 0.5 to 0.8, else a fair coin."""
-    coin = lambda k: unit(seed, F.col("id"), F.lit("c"), k) < 0.5
-    copied = lambda k: unit(seed, F.col("id"), F.lit("k"), k) < 0.5 + 0.3 * k / max(items - 1, 1)
-    grow = lambda bits, k: F.concat(bits, F.array(F.when(copied(k), F.element_at(bits, -1)).otherwise(coin(k))))
-    bits = F.aggregate(F.sequence(F.lit(1), F.lit(items - 1)), F.array(coin(F.lit(0))), grow)
+    """Each item is equal to the one before it with a probability of 0.5 to 0.8, else the other way round."""
+    coin = unit(seed, F.col("id"), F.lit("c")) < 0.5
+    same = lambda k: unit(seed, F.col("id"), F.lit("k"), k) < 0.5 + 0.3 * k / max(items - 1, 1)
+    grow = lambda bits, k: F.concat(bits, F.array(F.element_at(bits, -1) == same(k)))
+    bits = F.aggregate(F.sequence(F.lit(1), F.lit(items - 1)), F.array(coin), grow)
     return _kept(spark.range(rows).withColumn("bits", bits), [F.element_at("bits", k + 1) for k in range(items)])
 
 
