@@ -405,47 +405,6 @@ def one_step_divergence(spark, sf_dir):
     return frame(spark, out, "items string, bits double")
 
 
-# summaries
-
-def greedy_sql(view: str, m: int, kind: str, k: int, known: str = "columns", sweeps: int = 60) -> str:
-    """Greedy lists of pairs by enumeration: pick by h, refit all rows, keep while the score falls."""
-    base = MARGINS + (f" UNION ALL {row_sizes(m)}" if "rows" in known else "")
-    cost = f"log2(n) + {m} * log2(1 + 1 / {m}::DOUBLE) + 1 + 2 * log2({m})" if kind == "mdl" else "log2(n) / 2"
-    r = f"2 * log2({m}) / n" if kind == "mdl" else "0"
-    ctes = [masks(view, m), f"cand AS MATERIALIZED (SELECT ((1 << x.id) | (1 << y.id))::BIGINT AS mask, x.id AS i, y.id AS j, x.item AS xi, y.item AS yi, {support('(1 << x.id) | (1 << y.id)')} / n AS fr FROM items x, items y, nn WHERE x.id < y.id)", fit("f0", m, base, sweeps if "rows" in known else 2)]
-    chosen = ""
-    for t in range(1, k + 1):
-        used = "".join(f" AND mask NOT IN (SELECT mask FROM pick{u})" for u in range(1, t))
-        ctes.append(f"pick{t} AS MATERIALIZED (SELECT * FROM (SELECT cand.*, {kl('fr', 'est')} - {r} AS h FROM (SELECT cand.*, {estimate(f'f{t - 1}.p', 'cand.mask')} AS est FROM cand, f{t - 1} WHERE fr > 0{used}) cand, nn) WHERE h > 0 ORDER BY round(h, 12) DESC, i, j LIMIT 1)")
-        chosen += f" UNION ALL SELECT mask, NULL::INT, fr FROM pick{t}"
-        ctes.append(fit(f"f{t}", m, base + chosen, sweeps))
-    gain = lambda t: f"((SELECT sum(cnt * log2(f{t}.p[bag.mask + 1])) FROM bag, f{t}) - (SELECT sum(cnt * log2(f{t - 1}.p[bag.mask + 1])) FROM bag, f{t - 1}) > {cost})"
-    parts = [f"SELECT {t}::BIGINT AS rank, least(xi, yi) || '|' || greatest(xi, yi) AS items, round(fr, 6) AS fr FROM pick{t}, nn WHERE " + " AND ".join(gain(u) for u in range(1, t + 1)) for t in range(1, k + 1)]
-    return f"WITH RECURSIVE {', '.join(ctes)} " + " UNION ALL ".join(parts)
-
-
-def _listed(spark, s) -> DataFrame:
-    return frame(spark, [(k, s.bag.names(p.items), round(p.frequency, 6)) for k, p in enumerate(s.picks, 1)], "rank long, items string, fr double")
-
-
-def _summary(spark, sf_dir, view, m, kind, k, known="columns", **more):
-    return _listed(spark, summarize(bag(spark, sf_dir, view, m), kind, known, k=k, max_size=2, **more))
-
-
-for _name, _view, _m, _kind, _k, _known in (
-    ("summary_user_day_mdl", "user_day", 9, "mdl", 3, "columns"),
-    ("summary_user_day_bic", "user_day", 9, "bic", 3, "columns"),
-    ("summary_order_attr_pairs", "order_attr", 10, "bic", 3, "columns"),
-    ("summary_conv_word_rows", "conv_word", 9, "mdl", 2, "rows+columns"),
-    ("summary_order_word_mdl", "order_word", 9, "mdl", 2, "columns"),
-    ("subset_from_pool", "user_day", 9, "mdl", 2, "columns"),
-    ("k_subset_from_pool", "user_day", 9, "mdl", 1, "columns"),
-    ("top_k_conv_word", "conv_word", 9, "mdl", 2, "columns"),
-):
-    QUERIES[_name] = functools.partial(_summary, view=_view, m=_m, kind=_kind, k=_k, known=_known)
-    SQL[_name] = greedy_sql(_view, _m, _kind, _k, _known, 120 if "rows" in _known else 60)
-
-
 @query("best_itemset", _base("user_day", 9) + f""", s AS (SELECT i::BIGINT AS x FROM range(0, 512) t(i) WHERE bit_count(i::BIGINT) BETWEEN 2 AND 4), e AS (SELECT x, {support('s.x')} / n AS fr, (SELECT product(supp / n) FROM items, nn WHERE (x >> id) & 1 = 1) AS est, n FROM s, nn),
 h AS (SELECT x, {kl('fr', 'est')} - bit_count(x) * log2(9) / n AS h FROM e WHERE fr > 0) SELECT {name_of('x')} AS items, round(h, 9) AS h FROM h ORDER BY round(h, 12) DESC LIMIT 1""")
 def best_itemset(spark, sf_dir):
@@ -475,14 +434,6 @@ def exact_greedy_pairs(spark, sf_dir):
     return frame(spark, [(b.names(x), round(gain, 6))], "items string, gain double")
 
 
-@query("bg_itemsets_fit", SQL["fit_with_columns"])
-def bg_itemsets_fit(spark, sf_dir):
-    """Known itemsets as background: in the model, though a score would not charge for them."""
-    return fit_with_columns(spark, sf_dir)
-
-
-# rows-only queries: methods that SQL does not express in reasonable time
-
 @query("lazy_equals_cached")
 def lazy_equals_cached(spark, sf_dir):
     b = bag(spark, sf_dir, "user_day", 9)
@@ -513,21 +464,6 @@ def warm_vs_cold_fit(spark, sf_dir):
     return frame(spark, [(warm.sweeps, cold.sweeps, round(abs(warm.log_likelihood(b.n) - cold.log_likelihood(b.n)), 4))], "warm_sweeps int, cold_sweeps int, difference double")
 
 
-@query("score_curve")
-def score_curve(spark, sf_dir):
-    s = summarize(bag(spark, sf_dir, "user_day", 9), "mdl", max_size=2, k=8)
-    return frame(spark, [(k, round(v, 3)) for k, v in enumerate(s.curve())], "k int, score double")
-
-
-@query("bic_vs_mdl_sizes")
-def bic_vs_mdl_sizes(spark, sf_dir):
-    out = []
-    for view, m in (("user_day", 9), ("part_snation", 12), ("conv_word", 9)):
-        b = bag(spark, sf_dir, view, m)
-        out += [(view, kind, len(s.picks), round(s.score, 2), round(s.background_score, 2)) for kind in ("bic", "mdl") if (s := summarize(b, kind, max_size=2, k=8))]
-    return frame(spark, out, "view string, criterion string, k int, score double, background double")
-
-
 @query("interactive_replay")
 def interactive_replay(spark, sf_dir):
     """A session: two extensions, a removal, an addition."""
@@ -542,21 +478,6 @@ def interactive_replay(spark, sf_dir):
     return frame(spark, out, "step string, items string, score double")
 
 
-@query("signif_previous")
-def signif_previous(spark, sf_dir):
-    """Each pick of a list found on one half, tested on the other half against the model before it."""
-    rows = transactions(spark, sf_dir, "user_day").withColumn("half", F.conv(F.substring(F.md5("tid"), 1, 8), 16, 10).cast("long") % 2)
-    b = bag_of(rows.where("half = 0"), 9)
-    s = summarize(b, "mdl", max_size=2, k=8)
-    held = rows.where("half = 1")
-    d, out = held.count(), []
-    for p in s.picks:
-        names = [b.items[i] for i in range(b.m) if p.items >> i & 1]
-        f = held.where(F.size(F.array_except(F.array(*map(F.lit, names)), "items")) == 0).count()
-        out.append((b.names(p.items), f, d, round(p.estimate, 6), scores.binomial_two_tailed(f, d, p.estimate)))
-    return frame(spark, [(*r[:4], round(r[4], 6), r[4] <= 0.05 / max(len(out), 1)) for r in out], "items string, f long, d long, p double, p_value double, significant boolean")
-
-
 @query("run_stats")
 def run_stats(spark, sf_dir):
     s = summarize(bag(spark, sf_dir, "user_day", 9), "mdl", k=3, max_size=3, supports="lazy")

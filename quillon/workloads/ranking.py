@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.scores import kl2
 from ..operators.bag import margins, pair_supports, triple_supports
+from ..sources.files import stored
 from ..sources.views import VIEWS, transactions
 from .sqlparts import cells, kl, pairs
 
@@ -38,8 +39,9 @@ def _frequent_only(rows: DataFrame, share: float) -> DataFrame:
 
 def ranked_pairs(rows: DataFrame) -> DataFrame:
     """All pairs that occur with frequency, independence estimate and what measures make of them."""
+    rows = stored(rows.select("items"), "rows")  # one scan and grouping of the tables; counts come from the copy
     n = rows.count()
-    m = margins(rows)
+    m = stored(margins(rows), "margins")
     items = m.count()
     p = pair_supports(rows)
     p = p.join(m.select(F.col("item").alias("a"), F.col("supp").alias("sa")), "a").join(m.select(F.col("item").alias("b"), F.col("supp").alias("sb")), "b")
@@ -221,17 +223,16 @@ def summary_negative_mdl(spark, sf_dir):
 
 
 @query("view_stats", " UNION ALL ".join(
-    f"SELECT '{v}' AS view, n::BIGINT AS n, (SELECT count(*) FROM margin) AS items, (SELECT count(*) FROM cells) AS cells, round((SELECT count(*) FROM cells) / n / (SELECT count(*) FROM margin), 6) AS density FROM (WITH {cells(v)} SELECT n, (SELECT count(*) FROM margin) AS a, (SELECT count(*) FROM cells) AS c FROM nn)".replace("(SELECT count(*) FROM margin) AS items", "a AS items").replace("(SELECT count(*) FROM cells) AS cells", "c AS cells").replace("(SELECT count(*) FROM cells) / n / (SELECT count(*) FROM margin)", "c / n / a")
-    for v in VIEWS if v not in ("doc_word", "conv_word")))
+    f"SELECT '{v}' AS view, n::BIGINT AS n, a AS items, c AS cells, round(c / n / a, 6) AS density FROM (WITH {cells(v)} SELECT n, (SELECT count(*) FROM margin) AS a, (SELECT count(*) FROM cells) AS c FROM nn)"
+    for v in VIEWS))
 def view_stats(spark, sf_dir):
-    """Rows, items, cells and density of the views."""
+    """Rows, items, cells and density of all views; each is read once."""
     out = None
     for v in VIEWS:
-        if v in ("doc_word", "conv_word"):
-            continue
-        rows = transactions(spark, sf_dir, v)
-        sizes = rows.agg(F.count("*").alias("n"), F.sum(F.size("items")).alias("cells"))
-        one = sizes.join(F.broadcast(margins(rows).agg(F.count("*").alias("items")))).select(F.lit(v).alias("view"), "n", "items", F.coalesce("cells", F.lit(0)).alias("cells"), F.round(F.col("cells") / F.col("n") / F.col("items"), 6).alias("density"))
+        cells_ = transactions(spark, sf_dir, v).select(F.posexplode_outer("items").alias("pos", "item"))
+        by_item = cells_.groupBy("item").agg(F.count("item").alias("cells"), F.sum(F.when(F.coalesce("pos", F.lit(0)) == 0, 1).otherwise(0)).alias("n"))
+        one = by_item.agg(F.sum("n").alias("n"), F.count("item").alias("items"), F.sum("cells").alias("cells"))
+        one = one.select(F.lit(v).alias("view"), "n", "items", "cells", F.round(F.col("cells") / F.col("n") / F.col("items"), 6).alias("density"))
         out = one if out is None else out.union(one)
     return out
 
@@ -361,7 +362,7 @@ def stirling_gap(spark, sf_dir):
 
 
 def _holdout(spark, sf_dir):
-    rows = transactions(spark, sf_dir, "order_word").withColumn("half", _half(F.col("tid")))
+    rows = stored(transactions(spark, sf_dir, "order_word").select(_half(F.col("tid")).alias("half"), "items"), "halves")
     held, seen = rows.where("half = 1"), rows.where("half = 0")
     d, e = held.count(), seen.count()
     m = margins(seen).select("item", (F.col("supp") / e).alias("fr"))
@@ -382,29 +383,19 @@ def binomial_pvalue(spark, sf_dir):
     """Exact two-tailed p-values on the held-out half against the explored half's independence estimates."""
     from pyspark.sql.types import DoubleType
 
-    from ..functions.scores import binomial_two_tailed
+    from ..functions.scores import binomial_two_tailed_many
 
     @F.pandas_udf(DoubleType())
     def p_value(f, d, p):
-        return f.combine(d, lambda a, b: (a, b)).combine(p, lambda fd, q: binomial_two_tailed(int(fd[0]), int(fd[1]), float(q)))
+        import pandas as pd
+
+        return pd.Series(binomial_two_tailed_many(f.to_numpy(), d.to_numpy(), p.to_numpy()))
 
     return _holdout(spark, sf_dir).withColumn("p_value", F.round(p_value("f", "d", "p"), 6)).select("a", "b", "f", "d", "p_value")
 
 
 @query("bonferroni_flags", _HOLD + _BINOM + " SELECT a, b, round(p_value, 6) <= 0.05 / count(*) OVER () AS significant FROM pv")
 def bonferroni_flags(spark, sf_dir):
-    r = binomial_pvalue(spark, sf_dir)
+    r = stored(binomial_pvalue(spark, sf_dir), "p_values")
     n = r.count()
     return r.select("a", "b", (F.col("p_value") <= 0.05 / n).alias("significant"))
-
-
-@query("signif_background", _HOLD + _BINOM + " SELECT count(*) AS sets, count(*) FILTER (round(p_value, 6) <= 0.05 / (SELECT count(*) FROM pv)) AS significant FROM pv")
-def signif_background(spark, sf_dir):
-    return bonferroni_flags(spark, sf_dir).agg(F.count("*").alias("sets"), F.count(F.when(F.col("significant"), 1)).alias("significant"))
-
-
-@query("signif_unselected", _HOLD + _BINOM + ", s AS (SELECT * FROM pv ORDER BY md5(a || '|' || b) LIMIT 100) SELECT a, b, round(p_value, 6) <= 0.05 / 100 AS significant FROM s")
-def signif_unselected(spark, sf_dir):
-    """A hundred candidates drawn by hash, none selected, against the background model."""
-    r = binomial_pvalue(spark, sf_dir).orderBy(F.md5(F.concat_ws("|", "a", "b"))).limit(100)
-    return r.select("a", "b", (F.col("p_value") <= 0.05 / 100).alias("significant"))
