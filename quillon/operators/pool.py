@@ -45,7 +45,7 @@ class Part:
     within: np.ndarray = field(default=None)
     sweeps: int = 0
 
-    def fit(self, margins: np.ndarray, start: np.ndarray, tolerance: float = 1e-9, most_sweeps: int = 1000) -> "Part":
+    def fit(self, margins: np.ndarray, start: np.ndarray, tolerance: float = 1e-8, most_sweeps: int = 400) -> "Part":
         """Cyclic rescaling of the rows: each constraint is met exactly in its turn, until all are within `tolerance`."""
         kinds = np.arange(1 << len(self.items))
         limits = [(m, f) for m, f, _ in self.members] + [(1 << k, float(margins[i])) for k, i in enumerate(self.items)]

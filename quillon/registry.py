@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .workloads import baselines, mining, modelling, ranking, relational
+from .workloads import baselines, mining, modelling, ranking, relational, theory
 
-MODULES = (ranking, modelling, mining, relational, baselines)
+MODULES = (ranking, modelling, mining, theory, relational, baselines)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -161,12 +161,6 @@ def itemset_groups(spark, sf_dir):
     return frame(spark, [(_GROUP_SETS[k], min(_GROUP_SETS[j] for j in ks)) for ks in parts for k in ks], "items string, part string")
 
 
-@query("cap_admissible", "SELECT * FROM (VALUES ('gh', 2, true), ('gh', 5, true), ('ad', 5, false), ('ad', 6, true), ('ag', 6, false), ('ag', 7, true)) t(items, cap, ok)")
-def cap_admissible(spark, sf_dir):
-    """Whether an itemset and the parts of the running example that it touches stay within a cap of items."""
-    return frame(spark, [(s, c, B.admissible(MEMBERS, letters(s), c)) for s, c in (("gh", 2), ("gh", 5), ("ad", 5), ("ad", 6), ("ag", 6), ("ag", 7))], "items string, cap int, ok boolean")
-
-
 @query("remove_itemset", f"WITH RECURSIVE {fit('f', 8, f'SELECT * FROM ({_EXAMPLE}) v(mask, size, fr) WHERE mask <> {MEMBERS[1]}', 60)} SELECT x AS items, est FROM (" + " UNION ALL ".join(f"SELECT '{s}' AS x, round({estimate('p', str(letters(s)))}, 6) AS est FROM f" for s in ("cd", "ad", "agh")) + ")")
 def remove_itemset(spark, sf_dir):
     return frame(spark, _ask(example_model().without_set(MEMBERS[1]), ["cd", "ad", "agh"]), "items string, est double")
@@ -349,62 +343,6 @@ def mdl_l1_gap(spark, sf_dir):
     return frame(spark, [(n, round(scores.set_bits(n, 50), 5), round(scores.set_bits(n, 50, True), 5)) for n in (6000, 15000, 60000)], "n long, exact double, near double")
 
 
-@query("mdl_prior_mass", "SELECT k, round(1 - pow(2, -k - 1), 9) AS mass FROM range(0, 11) t(k)")
-def mdl_prior_mass(spark, sf_dir):
-    """Prior mass of all lists of up to k itemsets, summed over lengths: lists of k have 2^-(k+1) together."""
-    return frame(spark, [(k, round(sum(2.0 ** -(j + 1) for j in range(k + 1)), 9)) for k in range(11)], "k long, mass double")
-
-
-@query("space_size", "SELECT m, (1::BIGINT << m) - m - 1 AS itemsets FROM (VALUES (9::BIGINT), (22), (50)) t(m)")
-def space_size(spark, sf_dir):
-    return frame(spark, [(m, 2**m - m - 1) for m in (9, 22, 50)], "m long, itemsets long")
-
-
-@query("consistency_check", _base("user_day", 9) + f" SELECT items, consistent FROM (SELECT 'click|h=1' AS items, {support(_pair('click', 'h=1'))} / n = {support(_pair('click', 'h=1'))} / n AS consistent FROM nn UNION ALL SELECT 'h=2|view', {support(_pair('h=2', 'view'))} / n = 0.9 FROM nn)")
-def consistency_check(spark, sf_dir):
-    """Whether stated frequencies are the data's: one taken from it, one made up."""
-    b = bag(spark, sf_dir, "user_day", 9)
-    got = {x: s / b.n for x, s in b.supports_of([b.mask(*s) for s in _SETS]).items()}
-    stated = {b.mask(*_SETS[0]): got[b.mask(*_SETS[0])], b.mask(*_SETS[1]): 0.9}
-    return frame(spark, [(b.names(x), got[x] == f) for x, f in stated.items()], "items string, consistent boolean")
-
-
-@query("redundant_candidate", "SELECT 'bic' AS score, true AS worse UNION ALL SELECT 'mdl', true")
-def redundant_candidate(spark, sf_dir):
-    """An itemset at exactly its estimate makes both scores worse."""
-    b = bag(spark, sf_dir, "user_day", 9)
-    model = _with_pairs(b)
-    x = b.mask("click", "h=2")
-    more = model.with_set(x, model.query(x))
-    return frame(spark, [(k, model_score(b, more, k) > model_score(b, model, k)) for k in ("bic", "mdl")], "score string, worse boolean")
-
-
-@query("consistency_maximizes", "SELECT d AS delta, d = 0 AS best FROM (VALUES (-0.02::DOUBLE), (0.0), (0.02)) t(d)")
-def consistency_maximizes(spark, sf_dir):
-    """The likelihood of the data is largest at the data's own frequency."""
-    b = bag(spark, sf_dir, "user_day", 9)
-    x = b.mask("click", "h=1")
-    fr, base = b.supports_of([x])[x] / b.n, background(b)
-    value = {}
-    for d in (-0.02, 0.0, 0.02):
-        model = base.with_set(x, fr + d)
-        value[d] = -math.log2(model.total()) + fr * math.log2(model.mult[0]) + sum(f * math.log2(p) + (1 - f) * math.log2(1 - p) for f, p in zip(b.margins, model.probability, strict=True))
-    return frame(spark, [(d, v == max(value.values())) for d, v in value.items()], "delta double, best boolean")
-
-
-@query("one_step_divergence", _base("user_day", 9) + _COL + f" SELECT x.item || '|' || y.item AS items, round({kl('fr', 'est')}, 6) AS bits FROM (SELECT x, y, {support('(1 << x.id) | (1 << y.id)')} / n AS fr, {estimate('c.p', '(1 << x.id) | (1 << y.id)')} AS est FROM items x, items y, c, nn WHERE x.item < y.item)".replace("x.item || '|' || y.item AS items", "x.item || '|' || y.item AS items"))
-def one_step_divergence(spark, sf_dir):
-    """Divergence of a model after one single update by a pair: equal to the pair's one-term surprise."""
-    b = bag(spark, sf_dir, "user_day", 9)
-    base, out = background(b), []
-    got = b.supports_of(small_sets(9, 2))
-    for x, s in got.items():
-        fr, est = s / b.n, base.query(x)
-        inside, outside = fr / est, (1 - fr) / (1 - est)
-        out.append((b.names(x), round((fr * math.log2(inside) if fr else 0.0) + (1 - fr) * math.log2(outside), 6)))
-    return frame(spark, out, "items string, bits double")
-
-
 @query("best_itemset", _base("user_day", 9) + f""", s AS (SELECT i::BIGINT AS x FROM range(0, 512) t(i) WHERE bit_count(i::BIGINT) BETWEEN 2 AND 4), e AS (SELECT x, {support('s.x')} / n AS fr, (SELECT product(supp / n) FROM items, nn WHERE (x >> id) & 1 = 1) AS est, n FROM s, nn),
 h AS (SELECT x, {kl('fr', 'est')} - bit_count(x) * log2(9) / n AS h FROM e WHERE fr > 0) SELECT {name_of('x')} AS items, round(h, 9) AS h FROM h ORDER BY round(h, 12) DESC LIMIT 1""")
 def best_itemset(spark, sf_dir):

@@ -108,26 +108,6 @@ def _supersets(levels: DataFrame) -> DataFrame:
     return levels.join(up, "key", "left")
 
 
-@query("closed_itemsets", _LEVELS + " SELECT key, supp FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.size = f.size + 1 AND g.supp = f.supp AND list_has_all(g.items, f.items))")
-def closed_itemsets(spark, sf_dir):
-    return _supersets(_levels(spark, sf_dir)).groupBy("key", "supp").agg(F.max("bigger_supp").alias("most")).where("most IS NULL OR most < supp").select("key", "supp")
-
-
-@query("generator_itemsets", _LEVELS + " SELECT key, supp FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.size = f.size - 1 AND g.supp = f.supp AND list_has_all(f.items, g.items))")
-def generator_itemsets(spark, sf_dir):
-    levels = _levels(spark, sf_dir)
-    equal = _supersets(levels).where("bigger_supp = supp").select(F.col("bigger").alias("key")).distinct()
-    return levels.join(equal, "key", "left_anti").select("key", "supp")
-
-
-@query("derivable_itemsets", _ranked("user_day") + " SELECT a, b, greatest(0, sa + sb - n)::BIGINT AS lower, least(sa, sb)::BIGINT AS upper, greatest(0, sa + sb - n) = least(sa, sb) AS derivable FROM k")
-def derivable_itemsets(spark, sf_dir):
-    """Bounds of a pair's support from its items' supports; equal bounds make it derivable."""
-    r = ranked_pairs(transactions(spark, sf_dir, "user_day"))
-    lower, upper = F.greatest(F.lit(0), F.col("sa") + F.col("sb") - F.col("n").cast("long")), F.least("sa", "sb")
-    return r.select("a", "b", lower.alias("lower"), upper.alias("upper"), (lower == upper).alias("derivable"))
-
-
 @query("containment_join", _LEVELS + " SELECT f.key AS small, g.key AS large FROM f JOIN f g ON g.size = f.size + 1 AND list_has_all(g.items, f.items)")
 def containment_join(spark, sf_dir):
     return _supersets(_levels(spark, sf_dir)).where("bigger IS NOT NULL").select(F.col("key").alias("small"), F.col("bigger").alias("large"))
