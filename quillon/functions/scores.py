@@ -44,6 +44,7 @@ def mdl(log_likelihood: float, k: int, total_items: int, n: float, items: int, a
 
 
 def score(kind: str, log_likelihood: float, k: int, total_items: int, n: float, items: int) -> float:
+    n, items = max(n, 1), max(items, 1)  # no rows, or none with an item: nothing to describe
     return bic(log_likelihood, k, n) if kind == "bic" else mdl(log_likelihood, k, total_items, n, items)
 
 

@@ -73,11 +73,11 @@ def heuristic_rank(spark, sf_dir):
     return ranked_pairs(transactions(spark, sf_dir, "order_attr")).where("h > 0").select("a", "b", F.round("h", 9).alias("h"))
 
 
-_DOC = """frequent AS (SELECT item FROM margin, nn WHERE supp >= 0.1 * n), fc AS (SELECT cells.* FROM cells JOIN frequent USING (item)),
+_DOC = """frequent AS MATERIALIZED (SELECT item, supp FROM margin, nn WHERE supp >= 0.1 * n), fc AS MATERIALIZED (SELECT tid, item FROM cells SEMI JOIN frequent USING (item)),
 dp AS (SELECT x.item AS a, y.item AS b, count(*) AS supp FROM fc x JOIN fc y ON x.tid = y.tid AND x.item < y.item GROUP BY ALL)"""
 
 
-@query("rank_pool_docs", f"""WITH {cells("doc_word")}, {_DOC}, r AS (SELECT a, b, dp.supp, dp.supp / n AS fr, (x.supp / n) * (y.supp / n) AS est, n FROM dp JOIN margin x ON a = x.item JOIN margin y ON b = y.item, nn)
+@query("rank_pool_docs", f"""WITH {cells("doc_word")}, {_DOC}, r AS (SELECT a, b, dp.supp, dp.supp / n AS fr, (x.supp / n) * (y.supp / n) AS est, n FROM dp JOIN frequent x ON a = x.item JOIN frequent y ON b = y.item, nn)
 SELECT a, b, supp, round(n * {kl("fr", "est")}, 6) AS bits FROM r""")
 def rank_pool_docs(spark, sf_dir):
     r = ranked_pairs(_frequent_only(transactions(spark, sf_dir, "doc_word"), 0.1))
@@ -115,42 +115,6 @@ for _name, (_sql, _) in _MEASURES.items():
     SQL[f"static_rank_{_name}"] = _ranked("order_word") + f" SELECT a, b, round({_sql}, 9) AS value FROM k ORDER BY value DESC, a, b LIMIT 10"
 
 
-@query("frequent_topk", f"WITH {cells('order_word')}, {pairs()} SELECT a, b, supp FROM pair ORDER BY supp DESC, a, b LIMIT 10")
-def frequent_topk(spark, sf_dir):
-    return pair_supports(transactions(spark, sf_dir, "order_word")).orderBy(F.desc("supp"), "a", "b").limit(10)
-
-
-@query("largest_tiles", f"WITH {cells('order_word')}, {pairs()} SELECT a, b, supp, 2 * supp AS area FROM pair ORDER BY area DESC, a, b LIMIT 10")
-def largest_tiles(spark, sf_dir):
-    return pair_supports(transactions(spark, sf_dir, "order_word")).withColumn("area", 2 * F.col("supp")).orderBy(F.desc("area"), "a", "b").limit(10)
-
-
-@query("tile_cover_greedy", f"""WITH {cells('order_word')}, {pairs()}, one AS (SELECT a, b, 2 * supp AS area FROM pair ORDER BY area DESC, a, b LIMIT 1),
-covered AS (SELECT tid, item FROM cells, one WHERE tid IN (SELECT x.tid FROM cells x JOIN cells y ON x.tid = y.tid, one WHERE x.item = one.a AND y.item = one.b) AND item IN (one.a, one.b)),
-rest AS (SELECT c.tid, c.item, CASE WHEN v.tid IS NULL THEN 1 ELSE 0 END AS fresh FROM cells c LEFT JOIN covered v ON c.tid = v.tid AND c.item = v.item),
-two AS (SELECT x.item AS a, y.item AS b, sum(x.fresh + y.fresh)::BIGINT AS area FROM rest x JOIN rest y ON x.tid = y.tid AND x.item < y.item GROUP BY ALL ORDER BY area DESC, a, b LIMIT 1)
-SELECT 1 AS step, a, b, area FROM one UNION ALL SELECT 2, a, b, area FROM two""")
-def tile_cover_greedy(spark, sf_dir):
-    """Two greedy tiles of two items: each covers the most cells that no earlier one covers."""
-    rows = transactions(spark, sf_dir, "order_word")
-    one = largest_tiles(spark, sf_dir).limit(1).select(F.lit(1).alias("step"), "a", "b", "area")
-    a, b = (one.first()[k] for k in ("a", "b"))
-    hit = F.array_contains("items", a) & F.array_contains("items", b)
-    fresh = lambda x: F.when(hit & x.isin(a, b), 0).otherwise(1)
-    cell = rows.select(F.transform("items", lambda x: F.struct(x.alias("x"), fresh(x).alias("f"))).alias("items"))
-    inner = lambda x, i: F.transform(F.slice("items", i + 2, F.size("items")), lambda y: F.struct(x["x"].alias("a"), y["x"].alias("b"), (x["f"] + y["f"]).alias("f")))
-    two = cell.select(F.explode(F.flatten(F.transform("items", inner))).alias("p")).groupBy("p.a", "p.b").agg(F.sum("p.f").alias("area"))
-    return one.union(two.orderBy(F.desc("area"), "a", "b").limit(1).select(F.lit(2), "a", "b", "area"))
-
-
-@query("tile_information_ratio", _ranked("order_word") + """ SELECT a, b, round(supp * (-log2(fa) - log2(fb)) / (-log2(fa) - log2(fb) + log2(n) + 1), 6) AS ratio FROM k ORDER BY ratio DESC, a, b LIMIT 10""")
-def tile_information_ratio(spark, sf_dir):
-    """Tiles by the bits that their ones cost under the margins, for each bit of the tile's description (this design's reading)."""
-    r = ranked_pairs(transactions(spark, sf_dir, "order_word"))
-    bits = -F.log2("fa") - F.log2("fb")
-    return r.select("a", "b", F.round(F.col("supp") * bits / (bits + F.log2("n") + 1), 6).alias("ratio")).orderBy(F.desc("ratio"), "a", "b").limit(10)
-
-
 @query("codetable_usage", f"WITH {cells('order_word')} SELECT item, supp AS usage, round(-log2(supp / (SELECT sum(supp) FROM margin)), 9) AS code_len FROM margin")
 def codetable_usage(spark, sf_dir):
     """The standard code table: single items, with usage and code length."""
