@@ -62,15 +62,17 @@ class MaxEntModel:
     """p(row) = norm * product of multipliers of the itemsets inside it * product of odds of its items * weight of its size.
 
     `margins`: item frequencies, or None if nothing is known of single items. `row_sizes`: frequencies
-    of 0 to m items in a row, or None. Frequencies of 0 and 1 are limits and are met exactly.
+    of 0 to m items in a row, or None; with `bins`, the bin of each size, only those of the bins are known, and a
+    weight belongs to a bin. Frequencies of 0 and 1 are limits and are met exactly.
     """
 
-    def __init__(self, m: int, members: list[int] | None = None, frequencies: list[float] | None = None, margins: list[float] | None = None, row_sizes: list[float] | None = None):
+    def __init__(self, m: int, members: list[int] | None = None, frequencies: list[float] | None = None, margins: list[float] | None = None, row_sizes: list[float] | None = None, bins: list[int] | None = None):
         self.m = m
         self.members = list(members or [])
         self.frequencies = list(frequencies or [])
         self.margins = None if margins is None else list(margins)
         self.row_sizes = None if row_sizes is None else np.asarray(row_sizes, float)
+        self.bins = None if bins is None or row_sizes is None else np.asarray(bins, np.int64)
         self.mult = [1.0] * len(self.members)
         self.probability = [0.5] * m if margins is None else list(margins)  # of the independent part
         self.weights = np.ones(m + 1)
@@ -171,9 +173,11 @@ class MaxEntModel:
                         odds = p / (1 - p) * _ratio(fr, now)
                         self.probability[i] = odds / (1 + odds)
             if self.row_sizes is not None:
-                now = self.size_probabilities()
-                worst = max(worst, float(np.abs(now - self.row_sizes).max()))
-                self.weights = np.where(now > 0, self.weights * self.row_sizes / np.where(now > 0, now, 1), 0.0)
+                now, want = self.size_probabilities(), self.row_sizes
+                if self.bins is not None:
+                    now, want = (np.bincount(self.bins, x)[self.bins] for x in (now, want))
+                worst = max(worst, float(np.abs(now - want).max()))
+                self.weights = np.where(now > 0, self.weights * want / np.where(now > 0, now, 1), 0.0)
             self.sweeps = sweep
             if worst <= tolerance or not self.members and self.row_sizes is None:
                 break
@@ -209,13 +213,13 @@ class MaxEntModel:
 
     def with_set(self, items: int, frequency: float) -> "MaxEntModel":
         """A fitted model with one more itemset, started from this one's parameters."""
-        new = MaxEntModel(self.m, [*self.members, items], [*self.frequencies, frequency], self.margins, self.row_sizes)
+        new = MaxEntModel(self.m, [*self.members, items], [*self.frequencies, frequency], self.margins, self.row_sizes, self.bins)
         new.mult, new.probability, new.weights = [*self.mult, 1.0], list(self.probability), self.weights.copy()
         return new.fit()
 
     def without_set(self, items: int) -> "MaxEntModel":
         keep = [k for k, x in enumerate(self.members) if x != items]
-        return MaxEntModel(self.m, [self.members[k] for k in keep], [self.frequencies[k] for k in keep], self.margins, self.row_sizes).fit()
+        return MaxEntModel(self.m, [self.members[k] for k in keep], [self.frequencies[k] for k in keep], self.margins, self.row_sizes, self.bins).fit()
 
     def blocks(self) -> list[tuple[int, int, float]]:
         """(part, block over the part's members, probability) of all blocks of each part, without row sizes."""

@@ -9,12 +9,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import scores
+from ..operators.bag import bag_of
+from ..operators.greedy import background, best_of_pool, small_sets, summarize
+from ..operators.maxent import MaxEntModel
 from ..operators.pool import PoolSummary, best_lazy, rule, start_state, summarize_pool, summarize_rows
 from ..operators.vertical import Vertical, mine, vertical
 from ..sources import synth
 from ..sources.files import stored
 from ..sources.views import transactions
-from .sqlparts import CELLS, MARGINS, estimate, fit, kl, masks
+from .sqlparts import CELLS, MARGINS, estimate, fit, kl, masks, row_sizes
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -152,6 +155,38 @@ def bg_itemsets_fit(spark, sf_dir):
     return spark.createDataFrame(out, "what string, value double")
 
 
+@query("summary_user_day_rows", greedy_ctes(view="user_day", m=9, kind="mdl", k=2, most=3, known=f" UNION ALL {row_sizes(9)}", sweeps=120) + " " + " UNION ALL ".join(f"SELECT {t}::BIGINT AS rank, name AS items, round(fr, 6) AS fr, round(est, 5) AS est FROM pick{t}, kept{t} WHERE ok" for t in (1, 2)))
+def summary_user_day_rows(spark, sf_dir):
+    """The list where row sizes are known besides item frequencies."""
+    b = bag_of(transactions(spark, sf_dir, "user_day"), 9)  # all its items
+    s = summarize(b, "mdl", "rows+columns", k=2, max_size=3)
+    return spark.createDataFrame([(t, b.names(p.items), round(p.frequency, 6), round(p.estimate, 5)) for t, p in enumerate(s.picks, 1)], "rank long, items string, fr double, est double")
+
+
+@query("fit_with_row_bins", f"WITH RECURSIVE {masks('user_day', 9)}, " + fit("z", 9, f"{MARGINS} UNION ALL {row_sizes(9, 3)}", 120) + f" SELECT x.item || '|' || y.item AS items, round({estimate('z.p', '(1 << x.id) | (1 << y.id)')}, 5) AS est FROM z, items x, items y WHERE x.item < y.item")
+def fit_with_row_bins(spark, sf_dir):
+    """Estimates where row sizes are known in bins of three only: a weight a bin, not one a size."""
+    b = bag_of(transactions(spark, sf_dir, "user_day"), 9)
+    model = MaxEntModel(9, margins=b.margins, row_sizes=b.row_sizes(), bins=[j // 3 for j in range(10)]).fit(1e-11, 3000)
+    return spark.createDataFrame([(b.names((1 << i) | (1 << j)), round(model.query((1 << i) | (1 << j)), 5)) for i in range(9) for j in range(i)], "items string, est double")
+
+
+@query("row_margins_effect")
+def row_margins_effect(spark, sf_dir):
+    """The most surprising pair of whole views, with and without known row sizes, and what it tells then."""
+    out = []
+    for view in ("order_word", "part_snation", "part_attr"):
+        b = bag_of(transactions(spark, sf_dir, view))
+        if b.m < 2:
+            continue
+        pool = {x: s / b.n for x, s in b.supports_of(small_sets(b.m, 2)).items() if s}
+        for known in ("columns", "rows+columns"):
+            model = background(b, known)
+            found = best_of_pool(model, pool, "bic", b.n, 10)
+            out.append((view, known, b.names(found[0]) if found else None, round(found[2] * b.n, 3) if found else 0.0, model.sweeps))
+    return spark.createDataFrame(out, "view string, known string, items string, bits double, sweeps int")
+
+
 @query("bic_vs_mdl_sizes")
 def bic_vs_mdl_sizes(spark, sf_dir):
     """Both criteria over all items of three views."""

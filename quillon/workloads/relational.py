@@ -316,7 +316,17 @@ def basket_text_roundtrip(spark, sf_dir):
     return margins(read_baskets(spark, path))
 
 
-@query("synth_margins")
+_UNIT = "('0x' || substr(md5(concat_ws('|', {0})), 1, 8))::BIGINT / 4294967296.0::DOUBLE"
+_SYNTH = f"""WITH g AS (SELECT id, k FROM range(0, 2000) a(id), range(0, 42) b(k)),
+ind AS (SELECT 'independent' AS data, k FROM g WHERE {_UNIT.format("'independent', id, k")} < 0.2::DOUBLE + 0.6::DOUBLE * k / 41),
+flips AS (SELECT id, k, sum(CASE WHEN k > 0 AND NOT {_UNIT.format("'chain', id, 'k', k")} < 0.5::DOUBLE + 0.3::DOUBLE * k / 41 THEN 1 ELSE 0 END) OVER (PARTITION BY id ORDER BY k) AS n FROM g),
+cha AS (SELECT 'chain' AS data, k FROM flips WHERE ({_UNIT.format("'chain', id, 'c'")} < 0.5) = (n % 2 = 0)),
+mos AS (SELECT 'mosaic' AS data, k FROM g WHERE (k < 25 AND {_UNIT.format("'mosaic', id, 's' || (k // 5)")} < 0.2::DOUBLE + 0.3::DOUBLE * (k // 5) / 4) <> ({_UNIT.format("'mosaic', id, 'f' || k")} < 0.01::DOUBLE)),
+dra AS (SELECT 'draws' AS data, k FROM (SELECT id, k, row_number() OVER (PARTITION BY id ORDER BY {_UNIT.format("'draws', id, k")}, k) AS place FROM g) WHERE place <= 7)
+SELECT data, 'i' || lpad(k::VARCHAR, 2, '0') AS item, count(*) AS supp FROM (SELECT * FROM ind UNION ALL SELECT * FROM cha UNION ALL SELECT * FROM mos UNION ALL SELECT * FROM dra) GROUP BY ALL"""
+
+
+@query("synth_margins", _SYNTH)
 def synth_margins(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Margins of the four generated data sets, 2,000 rows each."""
     out = None

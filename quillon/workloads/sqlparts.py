@@ -79,7 +79,8 @@ def support(mask: str) -> str:
     return f"(SELECT coalesce(sum(cnt), 0) FROM bag WHERE bag.mask & ({mask}) = ({mask}))"
 
 
-_INSIDE = "CASE WHEN c.size IS NULL THEN ((i - 1) & c.mask) = c.mask ELSE bit_count((i - 1)::BIGINT) = c.size END"
+#: A constraint holds for the rows with its items or, if it has a size (the least plus 1000 times the most), for those of such sizes.
+_INSIDE = "CASE WHEN c.size IS NULL THEN ((i - 1) & c.mask) = c.mask ELSE bit_count((i - 1)::BIGINT) BETWEEN c.size % 1000 AND c.size // 1000 END"
 
 
 def fit(name: str, m: int, constraints: str, sweeps: int = 60) -> str:
@@ -106,5 +107,6 @@ def estimate(p: str, mask: str) -> str:
 MARGINS = "SELECT 1 << id AS mask, NULL::INT AS size, supp / n AS fr FROM items, nn"
 
 
-def row_sizes(m: int) -> str:
-    return f"SELECT 0 AS mask, j::INT AS size, coalesce((SELECT sum(cnt) FROM bag WHERE bit_count(bag.mask) = j), 0) / n AS fr FROM range(0, {m + 1}) r(j), nn"
+def row_sizes(m: int, width: int = 1) -> str:
+    """Constraints on the number of a row's items, in bins of `width` numbers."""
+    return f"SELECT 0 AS mask, (lo + 1000 * least(lo + {width - 1}, {m}))::INT AS size, coalesce((SELECT sum(cnt) FROM bag WHERE bit_count(bag.mask) BETWEEN lo AND lo + {width - 1}), 0) / n AS fr FROM range(0, {m + 1}, {width}) r(lo), nn"
