@@ -31,6 +31,11 @@ def closure(block: int, members: list[int]) -> int:
     return signature(union(block, members), members)
 
 
+def closure_after(block: int, members: list[int], j: int) -> int:
+    """The block, and the members from place `j` on that lie inside the union of its members."""
+    return block | closure(block, members) >> j << j
+
+
 def union(block: int, members: list[int]) -> int:
     out = 0
     for k, x in enumerate(members):
