@@ -49,7 +49,7 @@ _OP10 = r"""
 WITH cut AS (
   SELECT page_id, CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages
 ), parts AS (
-  SELECT page_id, translate(regexp_extract(coalesce(rest, ''), '(?s)\A([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+  SELECT page_id, translate(coalesce(rest, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS whole, translate(regexp_extract(coalesce(rest, ''), '(?s)\A([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
     regexp_extract(coalesce(rest, ''), '(?s)\A[^/?#]*([^?#]*)', 1) AS path FROM cut
 ), rules(host, path, verdict) AS (
   VALUES ('org', '/', 'allow'), ('example.org', '/es/', 'block'), ('example.org', '/en/1', 'block'), ('com', '/fr/', 'allow'), ('com', '/de/', 'block')
@@ -58,7 +58,7 @@ WITH cut AS (
   FROM (SELECT DISTINCT * FROM parts) p JOIN rules r ON (p.host = r.host OR ends_with(p.host, '.' || r.host)) AND starts_with(p.path, r.path)
 )
 SELECT parts.page_id, parts.host, parts.path, fits.rule,
-  coalesce(fits.verdict, CASE WHEN regexp_matches(parts.host || parts.path, 'spam|cheap-pills|casino|porn|malware') THEN 'block' ELSE 'allow' END) AS verdict
+  coalesce(fits.verdict, CASE WHEN regexp_matches(parts.whole, 'spam|cheap-pills|casino|porn|malware') THEN 'block' ELSE 'allow' END) AS verdict
 FROM parts LEFT JOIN fits ON parts.page_id = fits.page_id AND fits.k = 1
 """
 

@@ -24,7 +24,7 @@ class ShiftAnd:
 
     A pattern is a list of elements: a byte, or a set of bytes that may repeat any number of times
     (a wildcard). A wildcard is a loop on the position before it. A pattern fits if it covers the
-    whole input; all are anchored on both sides.
+    whole input: it is anchored on both sides, unless it begins or ends with a wildcard.
     """
 
     def __init__(self, patterns: list[list[int | frozenset]]):
@@ -88,31 +88,34 @@ def url_verdicts(pages: DataFrame, rules: Iterable[tuple[str, str, str]] = RULES
     Host: after the first `://` up to `/`, `?`, `#` or the end, A-Z lower-cased; path: from there up to
     `?`, `#` or the end; both empty without `://` or for a null url. Of the rules that fit, the longest
     wins, a block before an allow of one length. Without one, the verdict is block if a glob fits
-    host and path, else allow. Repeated rows are treated alike; other columns are ignored.
+    what follows `://`, query and fragment included, A-Z lower-cased, else allow; a glob is anchored where it has
+    no `*`. Repeated rows are treated alike; an empty table gives an empty result; other columns, whatever
+    their names, are ignored.
     """
     rules = sorted(rules, key=lambda r: (-len(r[0] + r[1]), r[2] != "block", r[0] + r[1]))
     compiled = [p for host, path, _ in rules for p in rule(host, path)]
-    own = [[ANY, *glob(g)] if not g.startswith("*") else glob(g) for g in globs]
+    own = [glob(g) for g in globs]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        automaton = ShiftAnd(compiled + own)
+        automaton, words = ShiftAnd(compiled), ShiftAnd(own)
         names = np.array([h + p for h, p, _ in rules] + [None], object)
         verdicts = np.array([v for _, _, v in rules], object)
         for batch in batches:
             for a in range(0, batch.num_rows, 8192):
                 rows = batch.slice(a, 8192)
                 fits = automaton.run(*utf8(rows.column(3)))
-                of = fits[:, : len(compiled)].reshape(len(fits), len(rules), 2).any(axis=2) if rules else np.zeros((len(fits), 0), bool)
+                of = fits.reshape(len(fits), len(rules), 2).any(axis=2) if rules else np.zeros((len(fits), 0), bool)
                 best = np.where(of.any(axis=1), of.argmax(axis=1), len(rules)) if rules else np.zeros(len(fits), np.int64)
-                blocked = np.where(fits[:, len(compiled) :].any(axis=1), "block", "allow").astype(object)
+                blocked = np.where(words.run(*utf8(rows.column(4))).any(axis=1), "block", "allow").astype(object)
                 verdict = np.where(best < len(rules), np.append(verdicts, "")[best], blocked)
                 yield pa.RecordBatch.from_arrays([*rows.columns[:3], pa.array(names[best], pa.string()), pa.array(verdict, pa.string())], names=["id", "host", "path", "rule", "verdict"])
 
     place = F.instr(url, "://")
     rest = F.when(place > 0, F.expr(f"substring(`{url}`, instr(`{url}`, '://') + 3)")).otherwise("")
-    host = F.translate(F.regexp_extract(F.coalesce(rest, F.lit("")), r"\A([^/?#]*)", 1), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    low = lambda c: F.translate(c, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    host = low(F.regexp_extract(F.coalesce(rest, F.lit("")), r"\A([^/?#]*)", 1))
     path = F.regexp_extract(F.coalesce(rest, F.lit("")), r"\A[^/?#]*([^?#]*)", 1)
-    source = pages.select(F.col(key).alias("id"), host.alias("host"), path.alias("path"))
-    source = source.withColumn("canonical", F.concat(F.lit(START.decode()), "host", "path"))
+    source = pages.select(F.col(key).alias("id"), host.alias("host"), path.alias("path"), low(F.coalesce(rest, F.lit(""))).alias("whole"))
+    source = source.select("id", "host", "path", F.concat(F.lit(START.decode()), "host", "path").alias("canonical"), "whole")
     schema = f"id {source.schema['id'].dataType.simpleString()}, host string, path string, rule string, verdict string"
     return map_batches(source, run, schema).withColumnRenamed("id", key)
