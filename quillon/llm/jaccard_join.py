@@ -32,8 +32,9 @@ from .textkernel import U, mix, shingle_sets
 COUNT_WINDOW = 1 << 20
 #: Documents of a task that must hold a shingle, and documents in all, for it to go last in the order.
 FREQUENT_IN_TASK, FREQUENT = 2, 12
-#: Most shingles that are put last; which ones are affects speed alone.
-FREQUENT_MOST = 1 << 17
+#: Bits, 2 MB of them, in which those shingles are marked by hash. A rare one that shares a mark goes last with them:
+#: any fixed rule makes an order, so that affects speed alone.
+LATE_BITS = 1 << 24
 #: Shingles and documents up to which one task joins a shard.
 SHARD_SHINGLES, SHARD_DOCS = 1 << 20, 1024
 LEAF = 16
@@ -187,6 +188,15 @@ def prefix_length(n: int, num: int, den: int) -> int:
     return n - -(-num * n // den) + 1
 
 
+def _late(often: DataFrame) -> np.ndarray:
+    """Marks of the frequent shingles; LATE_BITS / 64 numbers at most come to the driver, whatever their count."""
+    spot = often.select(F.expr(f"pmod(shiftrightunsigned(shingle, 20), {LATE_BITS}L)").alias("spot"))
+    words = spot.groupBy(F.shiftright("spot", 6).alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(spot % 64 as int)))").alias("bits")).toPandas()
+    out = np.zeros(LATE_BITS // 64, U)
+    out[words["word"].to_numpy(np.int64)] = words["bits"].to_numpy(np.int64).view(U)
+    return out
+
+
 def _prefixes(width: int, last: "object", num: int, den: int):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         late = last.value
@@ -195,10 +205,9 @@ def _prefixes(width: int, last: "object", num: int, den: int):
             for s in shingle_sets(data, at, width):
                 sigs.append(_signature(s) if len(s) else None)
                 n = prefix_length(len(s), num, den) if len(s) else 0
-                if len(late) and n:
-                    spot = np.searchsorted(late, s)
-                    spot[spot == len(late)] = 0
-                    often = late[spot] == s
+                if n:
+                    spot = (s >> U(20)) & U(LATE_BITS - 1)
+                    often = (late[spot >> U(6)] >> (spot & U(63))) & U(1) == 1
                     s = np.concatenate((s[~often][:n], s[often][:n]))
                 keys.append(s[:n].view(np.int64))
             lengths = np.cumsum([0, *map(len, keys)])
@@ -358,8 +367,7 @@ def jaccard_groups(docs: DataFrame, num: int = 80, den: int = 100, width: int =
     profile = stored(map_batches(docs, _profile(width), "id long, n long, sig binary, vec binary, fine binary, shingle long, docs long"), "profile")
     each = profile.where("shingle is null").select("id", "n", "sig", "vec", "fine")
     often = profile.where("shingle is not null").groupBy("shingle").agg(F.sum("docs").alias("docs")).where(F.col("docs") >= FREQUENT)
-    often = often.orderBy(F.desc("docs"), "shingle").limit(FREQUENT_MOST).select("shingle").toPandas()["shingle"].to_numpy(np.int64)
-    last = spark.sparkContext.broadcast(np.sort(often.view(U)))
+    last = spark.sparkContext.broadcast(_late(often))
     classes = _classes(each)
     docs = _without_repeats(docs, each)
     keys = stored(map_batches(docs, _prefixes(width, last, num, den), "id long, sig binary, keys array<long>"), "keys")
