@@ -187,6 +187,17 @@ def row_margins_effect(spark, sf_dir):
     return spark.createDataFrame(out, "view string, known string, items string, bits double, sweeps int")
 
 
+# a session of modelling.py: two pairs are added, the first is removed, and added again
+_PAIR_COST = "(log2(n) + 9 * log2(1 + 1 / 9::DOUBLE) + 1 + 2 * log2(9))"
+_BITS = "(SELECT sum(cnt * log2({0}.p[bag.mask + 1])) FROM bag, {0})"
+SQL["interactive_replay"] = (
+    greedy_ctes(view="user_day", m=9, kind="mdl", k=2, most=2, sweeps=120) + ", " + fit("left_", 9, MARGINS + " UNION ALL SELECT mask, NULL::INT, fr FROM pick2", 120)
+    + f", v AS (SELECT 1 - {_BITS.format('f0')} AS none, 1 - {_BITS.format('f2')} + 2 * {_PAIR_COST} AS two, 1 - {_BITS.format('left_')} + {_PAIR_COST} AS one FROM nn)"
+    " SELECT 'start' AS step, '' AS items, round(none, 1) AS score FROM v UNION ALL SELECT 'extend', name, round(two, 1) FROM v, pick1 UNION ALL SELECT 'extend', name, round(two, 1) FROM v, pick2"
+    " UNION ALL SELECT 'remove', name, round(one, 1) FROM v, pick1 UNION ALL SELECT 'add', name, round(two, 1) FROM v, pick1"
+)
+
+
 @query("bic_vs_mdl_sizes")
 def bic_vs_mdl_sizes(spark, sf_dir):
     """Both criteria over all items of three views."""

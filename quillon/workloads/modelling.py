@@ -408,12 +408,12 @@ def interactive_replay(spark, sf_dir):
     """A session: two extensions, a removal, an addition."""
     b = bag(spark, sf_dir, "user_day", 9)
     s = Session(b, max_size=2)
-    out = [("start", "", round(s.score(), 3))]
+    out = [("start", "", round(s.score(), 1))]
     for x in s.extend(2):
-        out.append(("extend", b.names(x), round(s.score(), 3)))
+        out.append(("extend", b.names(x), round(s.score(), 1)))
     first = s.model.members[0]
-    out.append(("remove", b.names(first), round(s.remove(first), 3)))
-    out.append(("add", b.names(first), round(s.add(first), 3)))
+    out.append(("remove", b.names(first), round(s.remove(first), 1)))
+    out.append(("add", b.names(first), round(s.add(first), 1)))
     return frame(spark, out, "step string, items string, score double")
 
 
