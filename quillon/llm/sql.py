@@ -62,4 +62,14 @@ SELECT parts.page_id, parts.host, parts.path, fits.rule,
 FROM parts LEFT JOIN fits ON parts.page_id = fits.page_id AND fits.k = 1
 """
 
-SQL: dict[str, str] = {"op1_embedding_near_dedup": _OP1, "op2_ngram_jaccard_join": _OP2, "op10_url_filters": _OP10}
+_TARGETS = r"""
+WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size FROM documents),
+s AS (SELECT source, sum(size)::BIGINT AS source_size, ([3, 1, 2])[(row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1] AS weight FROM d GROUP BY source),
+a AS (SELECT 1.5 * sum(source_size)::DOUBLE AS whole, sum(weight) AS weights FROM s),
+l AS (SELECT (whole - coalesce((SELECT sum(2 * source_size) FROM s t WHERE 2.0 * t.source_size / t.weight <= r), 0)) / nullif(weights - coalesce((SELECT sum(weight) FROM s t WHERE 2.0 * t.source_size / t.weight <= r), 0), 0) AS level
+  FROM (SELECT -1.0::DOUBLE AS r UNION SELECT 2.0::DOUBLE * source_size / weight FROM s), a),
+f AS (SELECT level FROM l, a WHERE level IS NOT NULL ORDER BY abs((SELECT sum(least(2.0 * source_size, level * weight)) FROM s) - whole) LIMIT 1)
+SELECT doc_id, size, source_size, round(least(2.0 * source_size, (SELECT level FROM f) * weight)::DOUBLE, 6) AS target FROM d JOIN s ON d.source IS NOT DISTINCT FROM s.source
+"""
+
+SQL: dict[str, str] = {"mixing_targets": _TARGETS, "op1_embedding_near_dedup": _OP1, "op2_ngram_jaccard_join": _OP2, "op10_url_filters": _OP10}
