@@ -15,6 +15,7 @@ from ..operators import sizes as Z
 from ..operators.bag import Bag, bag_of
 from ..operators.greedy import Session, background, best_by_gain, find_best, model_score, optimal_subset, small_sets, summarize
 from ..operators.maxent import MaxEntModel
+from ..operators.partition import partition_items
 from ..sources.views import transactions
 from .sqlparts import MARGINS, estimate, fit, kl, masks, name_of, row_sizes, support
 
@@ -425,18 +426,9 @@ def run_stats(spark, sf_dir):
 
 @query("item_partition")
 def item_partition(spark, sf_dir):
-    """Items put into parts by merging, while any pair across two parts pays for its description."""
-    b = bag(spark, sf_dir, "user_day", 9)
-    base = background(b)
-    cost = scores.set_bits(b.n, b.m) + 2 * math.log2(b.m)
-    gain = {}
-    for x, s in b.supports_of(small_sets(b.m, 2)).items():
-        gain[x] = b.n * (base.entropy() - base.with_set(x, s / b.n).entropy())
-    part = list(range(b.m))
-    for x, g in sorted(gain.items(), key=lambda e: -e[1]):
-        i, j = (k for k in range(b.m) if x >> k & 1)
-        if g > cost and sum(p in (part[i], part[j]) for p in part) <= 10 and part[i] != part[j]:
-            part = [part[i] if p == part[j] else p for p in part]
-    return frame(spark, [(b.items[i], p) for i, p in enumerate(part)], "item string, part int")
+    """Items put into parts by merging those whose union describes the rows in fewer bits, while any does."""
+    b = bag(spark, sf_dir, "order_attr", 62)  # it has fewer items, so this is all
+    parts, bits = partition_items(b)
+    return frame(spark, [(b.names(1 << i), k, round(bits, 2)) for k, p in enumerate(parts) for i in range(b.m) if p >> i & 1], "item string, part int, bits double")
 
 
