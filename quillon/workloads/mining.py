@@ -16,7 +16,7 @@ from ..operators.pool import PoolSummary, best_lazy, rule, start_state, summariz
 from ..operators.vertical import Vertical, mine, vertical
 from ..sources import synth
 from ..sources.files import stored
-from ..sources.views import transactions
+from ..sources.views import item, table, transactions
 from .sqlparts import CELLS, MARGINS, estimate, fit, kl, masks, row_sizes
 
 QUERIES: dict = {}
@@ -97,6 +97,17 @@ _register("summary_order_attr", view="order_attr", share=0.002, max_size=3)
 _register("summary_part_snation", view="part_snation", share=0.3, max_size=3, kind="bic")
 
 
+@query("summary_doc_labels")
+def summary_doc_labels(spark, sf_dir):
+    """Words of labelled documents together with their classes as items: which itemsets hold a class."""
+    of = table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max("quality").alias("quality"), F.max("toxic").alias("toxic"))
+    classes = F.filter(F.array(item("quality", F.col("quality")), item("toxic", F.col("toxic"))), lambda x: x.isNotNull())
+    rows = transactions(spark, sf_dir, "doc_word").join(of, F.col("tid") == F.col("doc_id")).select(F.array_union("items", classes).alias("items"))
+    rows = stored(rows, "rows")
+    s = summarize_rows(rows, "bic", max(1, math.ceil(0.05 * rows.count())), 2, k=10)
+    return listed(spark, s).withColumn("has_class", F.col("items").contains("="))
+
+
 def given_pool(spark, sf_dir) -> tuple[Vertical, DataFrame]:
     """A pool that is given: the itemsets of up to three items that 300 user days or more have, by FP-growth."""
     from pyspark.ml.fpm import FPGrowth
