@@ -45,19 +45,20 @@ class Part:
     within: np.ndarray = field(default=None)
     sweeps: int = 0
 
-    def fit(self, margins: np.ndarray, start: np.ndarray, tolerance: float = 1e-8, most_sweeps: int = 400) -> "Part":
+    def fit(self, margins: np.ndarray, start: np.ndarray, tolerance: float = 1e-9, most_sweeps: int = 1000) -> "Part":
         """Cyclic rescaling of the rows: each constraint is met exactly in its turn, until all are within `tolerance`."""
         kinds = np.arange(1 << len(self.items))
         limits = [(m, f) for m, f, _ in self.members] + [(1 << k, float(margins[i])) for k, i in enumerate(self.items)]
-        inside = [(kinds & m) == m for m, _ in limits]
+        inside = [np.flatnonzero((kinds & m) == m) for m, _ in limits]
         p = start.copy()
         for self.sweeps in range(1, most_sweeps + 1):
             worst = 0.0
             for has, (_, fr) in zip(inside, limits, strict=True):
                 now = float(p[has].sum())
                 worst = max(worst, abs(now - fr))
-                scale = np.where(has, fr / now if now > 0 else 0.0, (1 - fr) / (1 - now) if now < 1 else 0.0)
-                p = p * scale
+                own = p[has] * (fr / now if now > 0 else 0.0)
+                p *= (1 - fr) / (1 - now) if now < 1 else 0.0
+                p[has] = own
             if worst <= tolerance:
                 break
         self.rows = p / p.sum()
