@@ -157,7 +157,8 @@ def _mixture(docs: DataFrame, weights: tuple[int, ...], share: float, most: int,
     last = F.floor((F.col("start") + F.col("size") - 1) / block_words)
     parts = places.where("size > 0").withColumn("block", F.explode(F.sequence(F.floor(F.col("start") / block_words), last)))
     words = F.least(F.col("start") + F.col("size"), (F.col("block") + 1) * block_words) - F.greatest(F.col("start"), F.col("block") * block_words)
-    parts = parts.join(uses, parts["source"].eqNullSafe(uses["s"]) & (parts["block"] == uses["b"]), "left")
+    # the planner takes rows made by explode to be as few as those they come from, and would broadcast all blocks
+    parts = parts.join(uses.hint("merge"), parts["source"].eqNullSafe(uses["s"]) & (parts["block"] == uses["b"]), "left")
     taken = parts.groupBy("doc_id", "source", "size", "mark", "start").agg(F.sum(words * F.coalesce("uses", F.lit(0))).cast("long").alias("taken")).drop("start")
     every = taken.union(places.where("size = 0").select("doc_id", "source", "size", "mark", F.lit(0).cast("long").alias("taken")))
     named = targets.select(F.col("source").alias("s"), "source_size", "target")

@@ -1,6 +1,7 @@
 """The corpus pipeline's stages on odd rows: repeated and null ids, clashing columns, empty tables."""
 
 import hashlib
+import re
 
 import pytest
 
@@ -146,3 +147,13 @@ def test_whole_pipeline_and_empty_tables(spark, tmp_path):
     source = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
     out = corpus_pipeline.run(spark, "/root/testdata/sf0.001").toPandas()
     assert set(out.doc_id) <= {r.doc_id for r in source.collect()} and out.groupby("doc_id").size().max() <= 2 and len(out) > 100
+
+
+def test_no_broadcast_of_the_blocks_taken(spark):
+    """Blocks grow with the words of all documents; the planner's guess of their number must not send them to the driver."""
+    docs = spark.range(40).selectExpr("id AS doc_id", "repeat('word ', 3000) AS text", "concat('s', id % 3) AS source")
+    mix = mixing.mixture(docs)
+    assert sum(r["taken"] for r in mix.collect()) > 0
+    plan = mix._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+    joins = [line for line in plan.splitlines() if "BroadcastHashJoin" in line and re.search(r"\bb#", line)]
+    assert not joins, joins
