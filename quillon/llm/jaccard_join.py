@@ -323,7 +323,9 @@ def _shards(clusters: DataFrame) -> DataFrame:
     dealt = dealt.withColumn("t", F.pmod(F.xxhash64("id", F.lit(11)), "own"))
     name = lambda band, t: F.format_string("%05d-%09d", band, t.cast("long"))
     every = lambda n: F.when(F.col(n) > 0, F.sequence(F.lit(0), F.col(n) - 1)).otherwise(F.array().cast("array<int>"))
-    partners = F.concat(*(F.transform(every(n), lambda x, d=d: F.struct((F.col("band") + d).alias("band"), x.cast("long").alias("t"))) for n, d in (("own", 0), ("up", 1), ("down", -1))))
+    # the function has one parameter: Spark gives a second one, even with a default, the place in the array
+    tiles_of = lambda n, d: F.transform(every(n), lambda x: F.struct((F.col("band") + d).alias("band"), x.cast("long").alias("t")))
+    partners = F.concat(tiles_of("own", 0), tiles_of("up", 1), tiles_of("down", -1))
     dealt = dealt.withColumn("w", F.explode(partners)).withColumn("tile", name(F.col("band"), F.col("t"))).withColumn("other", name(F.col("w.band"), F.col("w.t")))
     return whole.union(dealt.select("id", "cluster", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), "tile"))
 

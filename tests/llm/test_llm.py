@@ -10,6 +10,7 @@ import pytest
 from quillon.llm import bpe, flac, html_extract, language_id, secrets, toxicity, url_filter
 from quillon.llm.components import components, local_roots
 from quillon.llm.embedding_dedup import embedding_links, tile_links
+from quillon.llm import jaccard_join
 from quillon.llm.jaccard_join import jaccard_components, overlap, tree_links
 from quillon.llm.mixing import mixture, source_targets
 
@@ -211,3 +212,15 @@ def test_mixing(spark):
     rows = mixture(edge(spark)).collect()
     assert len(rows) == len(EDGE) and all(r.taken == 0 for r in rows if r.size == 0)
     assert mixture(edge(spark).where("false")).count() == 0
+
+
+def test_a_large_shard_has_every_pair_of_documents_in_some_task(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "SHARD_DOCS", 8)
+    rows = [(k, 1, 40 + k % 30) for k in range(120)]
+    dealt = jaccard_join._shards(spark.createDataFrame(rows, "id long, cluster long, n long")).collect()
+    tasks = {}
+    for r in dealt:
+        tasks.setdefault((r["lo"], r["hi"]), set()).add(r["id"])
+    together = {(a, b) for ids in tasks.values() for a in ids for b in ids}
+    lost = [(a, b) for a, _, n in rows for b, _, m in rows if 100 * min(n, m) >= 80 * max(n, m) and (a, b) not in together]
+    assert not lost
