@@ -8,6 +8,7 @@ from quillon import registry
 @pytest.mark.parametrize("name", [
     "block_cumulative",
     "block_sizes_quadratic",
+    "block_sizes_quick",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
