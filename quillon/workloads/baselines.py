@@ -13,9 +13,8 @@ from ..operators.pool import summarize_pool
 from ..operators.swap import swap_pvalues as pair_pvalues
 from ..operators.swap import swap_randomize
 from ..operators.vertical import mine, vertical
-from ..sources import synth
 from ..sources.files import stored
-from ..sources.views import transactions
+from ..sources.views import table, transactions
 from ..streaming.baskets import event_stream, replayed, window_counts
 from .mining import candidates_sql
 from .relational import _window_sql
@@ -132,10 +131,15 @@ def chain_model_score(spark, sf_dir):
     return path_scores(rows, _items(rows))
 
 
-@query("chain_true_score")
+_HOURS = "rws AS (SELECT DISTINCT user_id || '|' || strftime(ts, '%Y-%m-%d') AS tid FROM events), cells AS MATERIALIZED (SELECT DISTINCT user_id || '|' || strftime(ts, '%Y-%m-%d') AS tid, 'h' || lpad(hour(ts)::VARCHAR, 2, '0') AS item FROM events), nn AS (SELECT count(*)::DOUBLE AS n FROM rws), margin AS (SELECT item, count(*) AS supp FROM cells GROUP BY item)"
+
+
+@query("chain_true_score", SQL["chain_model_score"].replace(cells("user_day"), _HOURS))
 def chain_true_score(spark, sf_dir):
-    """The same for generated chain data of 50 items and 5,000 rows: the model the data came from."""
-    return path_scores(synth.chain(spark, 5000), [f"i{k:02d}" for k in range(50)])
+    """The same for items that follow each other in time: the hours of a day in which a user has events."""
+    events = table(spark, sf_dir, "events").select(F.concat_ws("|", "user_id", F.date_format("ts", "yyyy-MM-dd")).alias("tid"), F.concat(F.lit("h"), F.lpad(F.hour("ts").cast("string"), 2, "0")).alias("item"))
+    rows = stored(events.groupBy("tid").agg(F.collect_set("item").alias("items")), "hours")
+    return path_scores(rows, _items(rows))
 
 
 # lists of other methods

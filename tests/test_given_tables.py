@@ -11,6 +11,7 @@ from quillon import registry
     "block_sizes_quick",
     "block_subtractions",
     "cap_admissible",
+    "chain_true_score",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
