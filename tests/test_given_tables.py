@@ -12,6 +12,7 @@ from quillon import registry
     "block_subtractions",
     "cap_admissible",
     "chain_true_score",
+    "closed_blocks",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
