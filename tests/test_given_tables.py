@@ -13,6 +13,7 @@ from quillon import registry
     "cap_admissible",
     "chain_true_score",
     "closed_blocks",
+    "closure_table",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
