@@ -14,6 +14,7 @@ from quillon import registry
     "chain_true_score",
     "closed_blocks",
     "closure_table",
+    "entropy_drop",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
