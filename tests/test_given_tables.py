@@ -15,6 +15,7 @@ from quillon import registry
     "closed_blocks",
     "closure_table",
     "entropy_drop",
+    "fit_small_collection",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
