@@ -16,6 +16,7 @@ from quillon import registry
     "closure_table",
     "entropy_drop",
     "fit_small_collection",
+    "itemset_groups",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
