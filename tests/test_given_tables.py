@@ -17,6 +17,7 @@ from quillon import registry
     "entropy_drop",
     "fit_small_collection",
     "itemset_groups",
+    "math_kl",
 ])
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
