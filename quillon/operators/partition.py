@@ -12,36 +12,75 @@ from pyspark.sql import functions as F
 from .bag import Bag
 
 
+#: Items of a part up to which its kinds of rows are counted in an array.
+DENSE_ITEMS = 12
+#: Merges whose unions are measured before it is their turn.
+AHEAD = 16
+
+
+def counted(kind: np.ndarray, cnt: np.ndarray, kinds: int) -> np.ndarray:
+    return np.bincount(kind, cnt, kinds).astype(np.int64)
+
+
+def record(k: int, kinds: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(kinds), k)), pa.array(kinds), pa.array(counts)], names=["k", "kind", "c"])
+
+
 def part_bits(bag: Bag, parts: list[int]) -> dict[int, float]:
     """Bits of the rows' items in each part (a bit mask): those of the rows, coded by their own frequencies, and
     half a logarithm of n for each kind of row beyond the first. One job for all parts; one number a part comes back.
     """
     if not parts:
         return {}
-    wanted = np.array(parts, np.int64)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        dense = {k: np.zeros(1 << w.bit_count(), np.int64) for k, w in enumerate(parts) if w.bit_count() <= DENSE_ITEMS}
         for b in batches:
             mask, cnt = b.column(0).to_numpy(), b.column(1).to_numpy()
-            for k, w in enumerate(wanted):
-                kinds, at = np.unique(mask & w, return_inverse=True)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(kinds), k)), pa.array(kinds), pa.array(np.bincount(at, cnt).astype(np.int64))], names=["k", "kind", "c"])
+            held = {i: mask >> i & 1 for i in range(max(parts).bit_length())}
+            for k, w in enumerate(parts):
+                if k in dense:
+                    kind = np.zeros(len(mask), np.int64)
+                    for place, i in enumerate(i for i in held if w >> i & 1):
+                        kind += held[i] << place
+                    dense[k] += counted(kind, cnt, len(dense[k]))
+                else:
+                    kinds, at = np.unique(mask & w, return_inverse=True)
+                    yield record(k, kinds, counted(at, cnt, len(kinds)))
+        for k, total in dense.items():
+            some = np.flatnonzero(total)
+            yield record(k, some, total[some])
 
-    kinds = bag.rows.mapInArrow(run, "k long, kind long, c long").groupBy("k", "kind").agg(F.sum("c").alias("c"))
+    # rows of one part go to one task, which counts its kinds and sums over them
+    kinds = bag.rows.mapInArrow(run, "k long, kind long, c long").repartition("k").groupBy("k", "kind").agg(F.sum("c").alias("c"))
     got = kinds.groupBy("k").agg(F.sum(F.col("c") * F.log2(F.col("c") / bag.n)).alias("s"), F.count("*").alias("kinds")).collect()  # a row a part
     return {parts[r["k"]]: -r["s"] + (r["kinds"] - 1) / 2 * float(np.log2(max(bag.n, 2))) for r in got}
 
 
+def likely_unions(parts: list[int], bits: dict[int, float], cap: int) -> set[int]:
+    """Unions that later steps need if the best AHEAD merges known, of different parts, are made; measured ahead they save jobs."""
+    known = sorted(((bits[a] + bits[b] - bits[a | b], -a, -b) for a, b in itertools.combinations(parts, 2) if a | b in bits), reverse=True)
+    merged: list[int] = []
+    for gain, a, b in known:
+        if gain > 1e-9 and len(merged) < AHEAD and not any(x & (-a | -b) for x in merged):
+            merged.append(-a | -b)
+    unions = {x | y for x in merged for y in [*parts, *merged] if not x & y and (x | y).bit_count() <= cap}
+    return unions - set(bits)
+
+
 def partition_items(bag: Bag, cap: int = 10) -> tuple[list[int], float]:
     """(parts as bit masks, bits together): the two parts whose union saves most are merged, while any saves.
 
-    A part has `cap` items at most. All unions of a step that were not looked at before are measured in one job.
+    A part has `cap` items at most. All unions of a step that were not looked at before are measured in one job,
+    with those that the next steps likely need.
     """
     parts = [1 << i for i in range(bag.m)]
     bits = part_bits(bag, parts)
     while True:
         pairs = [(a, b) for a, b in itertools.combinations(parts, 2) if (a | b).bit_count() <= cap]
-        bits |= part_bits(bag, sorted({a | b for a, b in pairs} - set(bits)))
+        missing = {a | b for a, b in pairs} - set(bits)
+        if missing:
+            bits |= part_bits(bag, sorted(missing | likely_unions(parts, bits, cap)))
         best = max(((bits[a] + bits[b] - bits[a | b], -a, -b) for a, b in pairs), default=(0.0, 0, 0))
         if best[0] <= 1e-9:
             return sorted(parts), sum(bits[p] for p in parts)

@@ -6,6 +6,7 @@ from collections import Counter
 
 import numpy as np
 
+from quillon.operators import partition
 from quillon.operators.bag import bag_of
 from quillon.operators.partition import partition_items
 
@@ -33,3 +34,17 @@ def test_parts_are_where_items_hang_together(spark):
     assert all(bits(x | y) >= bits(x) + bits(y) for x, y in itertools.combinations(sets, 2))
     small, _ = partition_items(bag, 2)
     assert all(p.bit_count() <= 2 for p in small)
+
+
+def test_merges_share_jobs(spark, monkeypatch):
+    """Ten pairs of equal items: ten merges, but not a job each; many of the unions they need are measured ahead."""
+    rng = np.random.default_rng(2)
+    coins = rng.random((300, 10)) < 0.5
+    rows = [(k, [f"{x}{i}" for i in range(10) if own[i] for x in "ab"]) for k, own in enumerate(coins)]
+    bag = bag_of(spark.createDataFrame(rows, "tid long, items array<string>"), 20)
+    jobs, measure = [], partition.part_bits
+    monkeypatch.setattr(partition, "part_bits", lambda b, parts: jobs.append(len(parts)) or measure(b, parts))
+    parts, _ = partition_items(bag, 2)
+    assert sorted(bag.names(p) for p in parts) == [f"a{i}|b{i}" for i in range(10)]
+    parts, _ = partition_items(bag, 4)
+    assert all(p.bit_count() <= 4 for p in parts) and len(jobs) < 8
